@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
-from peakgroups.llm import urls
+from peakgroups.llm import licenses, quality, urls
 
 
 def queries() -> dict:
-    return {"op9_url_filter": urls.op9_url_filter}
+    return {
+        "op4_license_scan": licenses.op4_license_scan,
+        "op6_quality_rules": quality.op6_quality_rules,
+        "op9_url_filter": urls.op9_url_filter,
+    }
 
 
 def oracle_sql() -> dict:
-    return {"op9_url_filter": urls.OP9_SQL}
+    return {"op6_quality_rules": quality.OP6_SQL, "op9_url_filter": urls.OP9_SQL}
