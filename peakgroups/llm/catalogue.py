@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from peakgroups.llm import licenses, quality, urls
+from peakgroups.llm import decontaminate, licenses, quality, urls
 
 
 def queries() -> dict:
     return {
+        "op1_decontaminate": decontaminate.op1_decontaminate,
         "op4_license_scan": licenses.op4_license_scan,
         "op6_quality_rules": quality.op6_quality_rules,
         "op9_url_filter": urls.op9_url_filter,
@@ -14,4 +15,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict:
-    return {"op6_quality_rules": quality.OP6_SQL, "op9_url_filter": urls.OP9_SQL}
+    return {"op1_decontaminate": decontaminate.OP1_SQL, "op6_quality_rules": quality.OP6_SQL, "op9_url_filter": urls.OP9_SQL}
