@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from peakgroups.llm import decontaminate, licenses, quality, urls
+from peakgroups.llm import decontaminate, licenses, mixing, quality, urls
 
 
 def queries() -> dict:
@@ -11,8 +11,9 @@ def queries() -> dict:
         "op4_license_scan": licenses.op4_license_scan,
         "op6_quality_rules": quality.op6_quality_rules,
         "op9_url_filter": urls.op9_url_filter,
+        "op10_mix_sources": mixing.op10_mix_sources,
     }
 
 
 def oracle_sql() -> dict:
-    return {"op1_decontaminate": decontaminate.OP1_SQL, "op6_quality_rules": quality.OP6_SQL, "op9_url_filter": urls.OP9_SQL}
+    return {"op1_decontaminate": decontaminate.OP1_SQL, "op6_quality_rules": quality.OP6_SQL, "op9_url_filter": urls.OP9_SQL, "op10_mix_sources": mixing.OP10_SQL}
