@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from peakgroups.llm import decontaminate, licenses, mixing, quality, urls
+from peakgroups.llm import decontaminate, language, licenses, mixing, quality, tokens, urls
 
 
 def queries() -> dict:
@@ -10,6 +10,8 @@ def queries() -> dict:
         "op1_decontaminate": decontaminate.op1_decontaminate,
         "op4_license_scan": licenses.op4_license_scan,
         "op6_quality_rules": quality.op6_quality_rules,
+        "op7_token_counts": tokens.op7_token_counts,
+        "op8_language_id": language.op8_language_id,
         "op9_url_filter": urls.op9_url_filter,
         "op10_mix_sources": mixing.op10_mix_sources,
     }
