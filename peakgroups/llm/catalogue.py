@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-from peakgroups.llm import decontaminate, language, licenses, mixing, quality, tokens, urls
+from peakgroups.llm import decontaminate, language, licenses, mixing, quality, simhash, tokens, urls, warc
 
 
 def queries() -> dict:
     return {
         "op1_decontaminate": decontaminate.op1_decontaminate,
+        "op2_simhash": simhash.op2_simhash,
         "op4_license_scan": licenses.op4_license_scan,
+        "op5_warc": warc.op5_warc,
         "op6_quality_rules": quality.op6_quality_rules,
         "op7_token_counts": tokens.op7_token_counts,
         "op8_language_id": language.op8_language_id,
@@ -18,4 +20,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict:
-    return {"op1_decontaminate": decontaminate.OP1_SQL, "op6_quality_rules": quality.OP6_SQL, "op9_url_filter": urls.OP9_SQL, "op10_mix_sources": mixing.OP10_SQL}
+    return {"op1_decontaminate": decontaminate.OP1_SQL, "op5_warc": warc.OP5_SQL, "op6_quality_rules": quality.OP6_SQL, "op9_url_filter": urls.OP9_SQL, "op10_mix_sources": mixing.OP10_SQL}
