@@ -44,7 +44,12 @@ def drop_path(spark: SparkSession, path: str) -> None:
 
 
 def release(df: DataFrame) -> None:
-    """Delete the files behind a table made by :func:`materialize`."""
+    """Delete the files behind a table made by :func:`materialize`.
+
+    Also asks the driver for a collection: Spark deletes the shuffle files of finished jobs
+    once nothing on the driver refers to them.
+    """
     files = df.inputFiles()
     if files:
         drop_path(df.sparkSession, files[0].rsplit("/", 1)[0])
+    df.sparkSession._jvm.System.gc()
