@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import corpus_pipeline
 from peakgroups.llm import decontaminate, language, licenses, linededup, mixing, quality, simhash, tokens, urls, warc
 
 
@@ -17,6 +18,7 @@ def queries() -> dict:
         "op8_language_id": language.op8_language_id,
         "op9_url_filter": urls.op9_url_filter,
         "op10_mix_sources": mixing.op10_mix_sources,
+        "pipeline": corpus_pipeline.run,
     }
 
 

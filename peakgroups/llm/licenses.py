@@ -13,7 +13,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from peakgroups.llm.text import alnum_words
+from peakgroups.llm.text import alnum_words, guarded
 
 #: Base phrases and their labels: fixed values.
 PHRASES = {"gnu general public license": "gpl", "apache license": "apache", "cc by": "cc-by", "mit license": "mit"}
@@ -151,14 +151,14 @@ def scan(docs: DataFrame, rules: list[Signature] | None = None, doc_id: str = "d
     base = F.array_sort(F.array_distinct(F.col("places.label")))
     return d.select(
         "doc_id",
-        F.size("words").cast("long").alias("n_words"),
-        F.size("places").cast("long").alias("n_base"),
+        guarded(F.size("words").cast("long")).alias("n_words"),
+        guarded(F.size("places").cast("long")).alias("n_base"),
         F.array_min("places.at").cast("long").alias("first_word"),
         F.array_max("places.at").cast("long").alias("last_word"),
-        F.array_join(base, ",").alias("base_labels"),
-        F.array_join(F.array_sort(F.array_union(base, F.col("detections.label"))), ",").alias("labels"),
+        guarded(F.array_join(base, ",")).alias("base_labels"),
+        guarded(F.array_join(F.array_sort(F.array_union(base, F.col("detections.label"))), ",")).alias("labels"),
         F.greatest(F.when(F.size("places") > 0, 0.7).otherwise(0.0), F.coalesce(F.array_max("detections.confidence"), F.lit(0.0))).alias("score"),
-        "detections",
+        guarded(F.col("detections")).alias("detections"),
     )
 
 

@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from peakgroups.functions.storage import materialize, release
-from peakgroups.llm.text import space_words, window_keys
+from peakgroups.llm.text import guarded, space_words, window_keys
 
 
 @dataclass(frozen=True)
@@ -27,10 +27,11 @@ class QualityRule:
 #: Production rules beyond the base. Ratios are to the words or characters of the text.
 RULES = (
     QualityRule("symbols", "10 * n_symbols > n_words"),
-    QualityRule("repeated_lines", "10 * n_dup_lines > 3 * n_lines"),
+    QualityRule("repeated_lines", "n_dup_lines > 3 and 10 * n_dup_lines > 3 * n_lines"),
     QualityRule("word_length", "word_chars < 2 * n_words or word_chars > 16 * n_words"),
     QualityRule("exclamation", "5 * (char_length(text) - char_length(replace(text, '!', ''))) > n_words"),
     QualityRule("capitals", "2 * char_length(regexp_replace(text, '[^A-Z]+', '')) > word_chars"),
+    QualityRule("stutter", r"5 * regexp_count(text, '(?<![^ ])([^ ]+) (?=\\1(?![^ ]))') > n_words"),
     QualityRule("digits", "2 * char_length(regexp_replace(text, '[^0-9]+', '')) > word_chars"),
 )
 BASE_FAILED = "n_words < 20 or 100 * n_repeat_words > 30 * n_words"
@@ -58,26 +59,29 @@ _ORDERED = """
 """
 
 
-def measures(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def measures(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", whole_row: bool = False) -> DataFrame:
     """``doc_id, text, n_words, word_chars, n_symbols, n_lines, n_dup_lines, n_repeat_words``.
 
     A null text counts as empty. A word is in ``n_repeat_words`` if it lies in a window
     of eight words that occurs twice or more in its text. Only texts in which some window
-    key occurs twice sort their keys; all others stop at a hash set.
+    key occurs twice sort their keys; all others stop at a hash set. ``whole_row`` adds
+    ``row``, a struct of all columns as they came.
     """
-    d = docs.select(F.col(doc_id).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
+    row = [F.struct("*").alias("row")] if whole_row else []
+    d = docs.select(F.col(doc_id).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"), *row)
     d = d.withColumn("words", space_words(F.col("text")))
     d = d.withColumn("lines", F.filter(F.split("text", "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))).withColumn("keys", F.expr(window_keys("words", 8)))
     d = d.withColumn("ordered", F.expr(_ORDERED))
     d = d.withColumn("starts", F.expr(f"if(ordered is null, cast(null as array<int>), {_STARTS})"))
     return d.select(
         "doc_id", "text",
-        F.size("words").cast("long").alias("n_words"),
+        guarded(F.size("words").cast("long")).alias("n_words"),
         F.char_length(F.concat_ws("", "words")).cast("long").alias("word_chars"),
         (F.char_length("text") - F.char_length(F.regexp_replace("text", r"[#*$%&|<>]+", ""))).cast("long").alias("n_symbols"),
         F.size("lines").cast("long").alias("n_lines"),
-        (F.size("lines") - F.size(F.array_distinct("lines"))).cast("long").alias("n_dup_lines"),
-        F.expr(f"if(starts is null, 0L, {_COVERED})").alias("n_repeat_words"),
+        guarded((F.size("lines") - F.size(F.array_distinct("lines"))).cast("long")).alias("n_dup_lines"),
+        guarded(F.expr(f"if(starts is null, 0L, {_COVERED})")).alias("n_repeat_words"),
+        *["row"][: len(row)],
     )
 
 
@@ -97,19 +101,24 @@ def ordered_rules(measured: DataFrame, rules=RULES, sample_rows: int = SAMPLE_RO
     return sorted(found, key=lambda x: -x[2] / max(x[1], 1e-9))
 
 
-def judge(docs: DataFrame, rules=RULES, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def judge(docs: DataFrame, rules=RULES, doc_id: str = "doc_id", text: str = "text", whole_row: bool = False) -> DataFrame:
     """:func:`measures` with ``base_failed`` and ``kept``; one row for each row of ``docs``.
 
     A text is kept if neither the base nor any rule finds it bad; a rule that comes out
     null does not reject. Extra columns of ``docs`` are not returned.
     """
-    measured = measures(docs, doc_id, text)
+    measured = measures(docs, doc_id, text, whole_row)
     verdict = F.when(F.col("base_failed"), F.lit(False))
     for rule, _, _ in ordered_rules(measured, rules):
         verdict = verdict.when(F.expr(rule.bad), F.lit(False))
     return measured.withColumn("base_failed", F.expr(BASE_FAILED)).withColumn("kept", verdict.otherwise(F.lit(True)))
 
 
+def keep_good(docs: DataFrame, rules=RULES, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """The rows of ``docs`` that :func:`judge` keeps, columns as they came."""
+    return judge(docs, rules, doc_id, text, whole_row=True).where("kept").select("row.*")
+
+
 def op6_quality_rules(spark, sf_dir):
     out = judge(spark.read.parquet(f"{sf_dir}/documents.parquet"))
     return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
@@ -133,9 +142,10 @@ with w as (
   from w left join rep on w.doc_id = rep.doc_id
 ), b as (select *, n_words < 20 or 100 * n_repeat_words > 30 * n_words as base_failed from m)
 select doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
-       not (base_failed or 10 * n_symbols > n_words or 10 * n_dup_lines > 3 * n_lines or word_chars < 2 * n_words or word_chars > 16 * n_words
+       not (base_failed or 10 * n_symbols > n_words or (n_dup_lines > 3 and 10 * n_dup_lines > 3 * n_lines) or word_chars < 2 * n_words or word_chars > 16 * n_words
             or 5 * (length(text) - length(replace(text, '!', ''))) > n_words
             or 2 * length(regexp_replace(text, '[^A-Z]+', '', 'g')) > word_chars
+            or 5 * len(list_filter(range(2, len(sp) + 1), lambda i: sp[i] = sp[i - 1] and sp[i] <> '')) > n_words
             or 2 * length(regexp_replace(text, '[^0-9]+', '', 'g')) > word_chars) as kept
-from b
+from (select *, string_split(text, ' ') as sp from b)
 """

@@ -29,3 +29,12 @@ def window_keys(words: str, n: int) -> str:
     """SQL: an array with the XXH64 of each run of ``n`` words of the array ``words``."""
     part = ", ".join(f"{words}[i{f' + {k}' if k else ''}]" for k in range(n))
     return f"if(size({words}) >= {n}, transform(sequence(0, size({words}) - {n}), i -> xxhash64({part})), cast(array() as array<bigint>))"
+
+
+def guarded(value: Column) -> Column:
+    """``value``, in a form that keeps filters on it above the projection that makes it.
+
+    Spark moves a filter below projections by putting their expressions in its place; one
+    on words or windows would then be computed anew for each element of an array.
+    """
+    return F.when(F.monotonically_increasing_id() >= 0, value)
