@@ -43,13 +43,18 @@ def drop_path(spark: SparkSession, path: str) -> None:
     p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
 
 
-def release(df: DataFrame) -> None:
-    """Delete the files behind a table made by :func:`materialize`.
+def collect_garbage(spark: SparkSession) -> None:
+    """Let the shuffle files of finished jobs go.
 
-    Also asks the driver for a collection: Spark deletes the shuffle files of finished jobs
-    once nothing on the driver refers to them.
+    Spark deletes them once nothing on the driver refers to the job; a large driver that
+    collects seldom would otherwise keep those of a whole chain of jobs.
     """
+    spark._jvm.System.gc()
+
+
+def release(df: DataFrame) -> None:
+    """Delete the files behind a table made by :func:`materialize`."""
     files = df.inputFiles()
     if files:
         drop_path(df.sparkSession, files[0].rsplit("/", 1)[0])
-    df.sparkSession._jvm.System.gc()
+    collect_garbage(df.sparkSession)
