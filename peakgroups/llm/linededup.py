@@ -2,7 +2,7 @@
 
 A line is the set of its words. Words are ordered by rarity, so that the first few of a
 line are its rarest; two sets as similar as asked share one of these. What shares one has
-to pass the length filter, the positional filter and a bound from 64 parity bits before
+to pass the length filter, the positional filter and a bound from 128 parity bits before
 the whole sets are compared. A line goes if an earlier line of the corpus, kept or not,
 has a Jaccard similarity of at least ``SIMILAR``; order is document id, then line.
 
@@ -13,11 +13,12 @@ words are then compared within a bucket's rank by hash, which is the same order
 from __future__ import annotations
 
 import math
+import re
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from peakgroups.functions.storage import materialize, release
+from peakgroups.functions.storage import collect_garbage, materialize, release
 from peakgroups.llm.text import SPACES, ascii_lower
 
 #: Jaccard similarity as a fraction, and distinct words below which a line always stays.
@@ -26,6 +27,8 @@ SIMILAR, MIN_WORDS = (4, 5), 5
 BUCKETS = 1 << 16
 #: Rarest words of a line by which it is compared with the first line of each.
 LEAD = 4
+#: Words beyond which a line has 128 parity bits.
+WIDE = 40
 
 
 def word_ranks(docs: DataFrame, text: str = "text") -> list[int]:
@@ -58,7 +61,7 @@ def _bounds() -> tuple[str, str, str]:
 
 
 def _postings(sets: DataFrame, tokens: str) -> DataFrame:
-    return sets.select("sig", "n", "bits", "doc_id", *[c for c in sets.columns if c == "gone"], F.posexplode_outer(F.expr(tokens)).alias("i", "code"))
+    return sets.select("sig", "n", "bits", "more_bits", "doc_id", *[c for c in sets.columns if c == "gone"], F.posexplode_outer(F.expr(tokens)).alias("i", "code"))
 
 
 #: On the columns of two postings with the same code, the one set's as m, j, bits_m: the
@@ -67,11 +70,11 @@ def _may_match() -> str:
     _, common, length = _bounds()
     return f"""
       {length} and least(i, j) + 1 + least(n - 1 - i, m - 1 - j) >= {common}
-      and bit_count(bits ^ bits_m) <= m + n - 2 * ({common})
+      and if(least(m, n) > {WIDE}, bit_count(more_bits ^ more_m) + bit_count(bits ^ bits_m ^ more_bits ^ more_m), bit_count(bits ^ bits_m)) <= m + n - 2 * ({common})
     """
 
 
-def _verified(pairs: DataFrame, sets: DataFrame, docs: DataFrame, ranks: list[int], doc_id: str, text: str) -> DataFrame:
+def _verified(pairs: DataFrame, sets: DataFrame, docs: DataFrame, ranks: list[int], repeated: bool, doc_id: str, text: str) -> DataFrame:
     """``sig`` of the later set of each pair ``(a, b)`` that is as similar as asked.
 
     The whole sets come from a second look at the documents that hold them; a Bloom filter
@@ -96,13 +99,15 @@ def _verified(pairs: DataFrame, sets: DataFrame, docs: DataFrame, ranks: list[in
     # Two uses of "parts" keep Spark from splitting the text anew for each line.
     held = held.select("doc_id", "text_key", "lines", F.split("_text", "\n").alias("parts"))
     chosen = held.select(F.col("lines.sig").alias("sigs"), F.expr("if(size(parts) > 0, array_join(transform(lines, x -> parts[x.line]), '\n'), '')").alias("_text"))
-    codes = coded_lines(chosen, ranks, 1, "sigs", "_text").select(F.get("doc_id", F.col("line")).alias("sig"), "codes").dropDuplicates(["sig"])
+    codes = coded_lines(chosen, ranks, 1, "sigs", "_text").select(F.get("doc_id", F.col("line")).alias("sig"), "codes")
+    codes = codes.dropDuplicates(["sig"]) if repeated else codes
     place = sets.select("sig", F.struct("doc_id", "text_key", "line").alias("place"))
     codes = materialize(codes.join(place, "sig"), "codes")
     a = codes.select(F.col("sig").alias("a"), F.col("codes").alias("ca"), F.col("place").alias("pa"))
     b = codes.select(F.col("sig").alias("b"), F.col("codes").alias("cb"), F.col("place").alias("pb"))
     p, q = SIMILAR
     same = F.expr(f"{p + q} * size(array_intersect(ca, cb)) >= {p} * (size(ca) + size(cb))")
+    collect_garbage(docs.sparkSession)
     found = pairs.join(a, "a").join(b, "b").where(same).select(F.when(F.col("pa") < F.col("pb"), F.col("b")).otherwise(F.col("a")).alias("sig"))
     return found.distinct()
 
@@ -118,33 +123,45 @@ def kept_lines(docs: DataFrame, min_words: int = MIN_WORDS, doc_id: str = "doc_i
     prefix, _, _ = _bounds()
     coded = coded_lines(docs, ranks, min_words, doc_id, text).withColumn("n", F.size("codes"))
     parity = "aggregate(codes, 0L, (a, c) -> a ^ shiftleft(1L, cast(c & 63 as int)))"
-    table = coded.select("doc_id", "text_key", "line", "n", F.xxhash64("codes").alias("sig"), F.expr(parity).alias("bits"), F.expr(f"slice(codes, 1, {prefix})").alias("prefix"))
+    # For each of 64 bits the parity of the words that fall on it, and, of longer lines, of
+    # half of them, which makes 128: sets differ in at least as many words as bits.
+    more = f"if(n > {WIDE}, aggregate(codes, 0L, (a, c) -> if(c & 64 = 0, a, a ^ shiftleft(1L, cast(c & 63 as int)))), 0L)"
+    table = coded.select("doc_id", "text_key", "line", "n", F.xxhash64("codes").alias("sig"), F.expr(parity).alias("bits"), F.expr(more).alias("more_bits"), F.expr(f"slice(codes, 1, {prefix})").alias("prefix"))
     lines = materialize(table, "lines")
     per_doc = lines.groupBy("doc_id", "text_key").agg(F.count_if(F.expr("line = 0")).alias("copies"), F.count(F.lit(1)).alias("all"), F.count_if(F.expr("n > 0")).alias("eligible"))
     per_doc = materialize(per_doc, "per-doc")
-    first = F.min(F.struct("doc_id", "text_key", "line", "n", "bits", "prefix")).alias("x")
+    repeated = per_doc.where("copies > 1").limit(1).count() > 0
+    first = F.min(F.struct("doc_id", "text_key", "line", "n", "bits", "more_bits", "prefix")).alias("x")
     sets = materialize(lines.where("n > 0").groupBy("sig").agg(first).select("sig", "x.*"), "sets")
     release(lines)
 
     # Each set with the first one of each of its rarest words: linear, and settles most of a
     # large group of near copies.
     lead = _postings(sets, f"slice(prefix, 1, {LEAD})")
-    leaders = lead.groupBy("code").agg(F.min(F.struct("doc_id", "sig", "n", "i", "bits")).alias("x"), F.count(F.lit(1)).alias("c")).where("c > 1")
-    leaders = materialize(leaders.select("code", F.col("x.sig").alias("other"), F.col("x.n").alias("m"), F.col("x.i").alias("j"), F.col("x.bits").alias("bits_m")), "leaders")
+    leaders = lead.groupBy("code").agg(F.min(F.struct("doc_id", "sig", "n", "i", "bits", "more_bits")).alias("x"), F.count(F.lit(1)).alias("c")).where("c > 1")
+    leaders = materialize(leaders.select("code", F.col("x.sig").alias("other"), F.col("x.n").alias("m"), F.col("x.i").alias("j"), F.col("x.bits").alias("bits_m"), F.col("x.more_bits").alias("more_m")), "leaders")
     near = lead.join(leaders, "code").where(f"sig <> other and {_may_match()}").select(F.least("sig", "other").alias("a"), F.greatest("sig", "other").alias("b"))
     pairs = materialize(near.distinct(), "lead-pairs")
-    gone = materialize(_verified(pairs, sets, docs, ranks, doc_id, text), "gone")
+    gone = materialize(_verified(pairs, sets, docs, ranks, repeated, doc_id, text), "gone")
 
     # Each set that is still there with all that share one of its rarest words.
     flagged = sets.join(gone.withColumn("gone", F.lit(True)), "sig", "left").withColumn("gone", F.coalesce("gone", F.lit(False)))
-    flagged = materialize(flagged.select("sig", "n", "bits", "doc_id", "text_key", "line", "prefix", "gone"), "flagged")
+    flagged = materialize(flagged.select("sig", "n", "bits", "more_bits", "doc_id", "text_key", "line", "prefix", "gone"), "flagged")
     release(sets)
+    # Both sides are one exchange: no condition is on one side alone, where Spark would move
+    # it below and shuffle the postings twice.
     post = _postings(flagged, "prefix")
-    other = post.select("code", F.col("sig").alias("other"), F.col("n").alias("m"), F.col("i").alias("j"), F.col("bits").alias("bits_m"), F.col("doc_id").alias("doc_m"))
-    later = "not gone and (doc_id is null or doc_m is null or doc_m <= doc_id)"
-    near = post.join(other, "code").where(f"sig <> other and {later} and {_may_match()}").select(F.least("sig", "other").alias("a"), F.greatest("sig", "other").alias("b"))
+    x, y = post.alias("x"), post.alias("y")
+    renamed = _may_match()
+    for name in ("bits_m", "more_m", "more_bits", "bits", "i", "j", "m", "n"):
+        side, column = ("y", {"bits_m": "bits", "more_m": "more_bits", "j": "i", "m": "n"}[name]) if name in ("bits_m", "more_m", "j", "m") else ("x", name)
+        renamed = re.sub(rf"(?<![\w.]){name}(?!\w)", f"{side}.{column}", renamed)
+    later = "if(x.gone, false, coalesce(y.doc_id <= x.doc_id, true))"
+    near = x.join(y, F.expr(f"x.code = y.code and x.sig <> y.sig and {later} and {renamed}"))
+    near = near.select(F.expr("least(x.sig, y.sig)").alias("a"), F.expr("greatest(x.sig, y.sig)").alias("b"))
     rest = materialize(near.distinct().join(pairs, ["a", "b"], "left_anti"), "pairs")
-    more = materialize(_verified(rest, flagged, docs, ranks, doc_id, text), "more")
+    collect_garbage(docs.sparkSession)
+    more = materialize(_verified(rest, flagged, docs, ranks, repeated, doc_id, text), "more")
     stay = flagged.where("not gone").join(more, "sig", "left_anti").groupBy("doc_id", "text_key").agg(F.sort_array(F.collect_list("line")).alias("kept"))
     s = stay.select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"), "kept")
     out = per_doc.join(s, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("text_key") == F.col("_key")), "left")
