@@ -61,7 +61,7 @@ def _bounds() -> tuple[str, str, str]:
 
 
 def _postings(sets: DataFrame, tokens: str) -> DataFrame:
-    return sets.select("sig", "n", "bits", "more_bits", "doc_id", *[c for c in sets.columns if c == "gone"], F.posexplode_outer(F.expr(tokens)).alias("i", "code"))
+    return sets.select("sig", "n", "bits", "more_bits", "doc_id", F.posexplode_outer(F.expr(tokens)).alias("i", "code"))
 
 
 #: On the columns of two postings with the same code, the one set's as m, j, bits_m: the
@@ -148,16 +148,13 @@ def kept_lines(docs: DataFrame, min_words: int = MIN_WORDS, doc_id: str = "doc_i
     flagged = sets.join(gone.withColumn("gone", F.lit(True)), "sig", "left").withColumn("gone", F.coalesce("gone", F.lit(False)))
     flagged = materialize(flagged.select("sig", "n", "bits", "more_bits", "doc_id", "text_key", "line", "prefix", "gone"), "flagged")
     release(sets)
-    # Both sides are one exchange: no condition is on one side alone, where Spark would move
-    # it below and shuffle the postings twice.
-    post = _postings(flagged, "prefix")
-    x, y = post.alias("x"), post.alias("y")
-    renamed = _may_match()
-    for name in ("bits_m", "more_m", "more_bits", "bits", "i", "j", "m", "n"):
-        side, column = ("y", {"bits_m": "bits", "more_m": "more_bits", "j": "i", "m": "n"}[name]) if name in ("bits_m", "more_m", "j", "m") else ("x", name)
-        renamed = re.sub(rf"(?<![\w.]){name}(?!\w)", f"{side}.{column}", renamed)
-    later = "if(x.gone, false, coalesce(y.doc_id <= x.doc_id, true))"
-    near = x.join(y, F.expr(f"x.code = y.code and x.sig <> y.sig and {later} and {renamed}"))
+    # Both sides are one exchange, as neither has a condition or a column of its own: sets
+    # that are gone have their size negated, and the length filter fails for these on the
+    # side that looks for an earlier match.
+    x, y = (_postings(flagged.withColumn("n", F.expr("if(gone, -n, n)")).drop("gone"), "prefix").alias(side) for side in "xy")
+    size = {"n": "x.n", "m": "abs(y.n)", "i": "x.i", "j": "y.i", "bits": "x.bits", "bits_m": "y.bits", "more_bits": "x.more_bits", "more_m": "y.more_bits"}
+    match = re.sub(r"\b(bits_m|more_m|more_bits|bits|n|m|i|j)\b", lambda w: size[w[0]], _may_match())
+    near = x.join(y, F.expr(f"x.code = y.code and x.sig <> y.sig and coalesce(y.doc_id <= x.doc_id, true) and {match}"))
     near = near.select(F.expr("least(x.sig, y.sig)").alias("a"), F.expr("greatest(x.sig, y.sig)").alias("b"))
     rest = materialize(near.distinct().join(pairs, ["a", "b"], "left_anti"), "pairs")
     collect_garbage(docs.sparkSession)
