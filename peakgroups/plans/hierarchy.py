@@ -28,6 +28,7 @@ class Hierarchy:
 
     rows: DataFrame
     report: list[dict] = field(default_factory=list)
+    tail_from: int = 0
 
     @property
     def levels(self) -> int:
@@ -40,19 +41,28 @@ class Hierarchy:
 
     def flatten(self, level: int, include_carried: bool = False) -> DataFrame:
         """``cluster, node, share`` of a level in nodes of the input."""
-        flat = None
-        for at in range(1, level + 1):
+        return self.flatten_levels([level], include_carried).select("cluster", "node", "share")
+
+    def flatten_levels(self, levels: list[int], include_carried: bool = False) -> DataFrame:
+        """:meth:`flatten` of several levels at once, with ``level``.
+
+        Large levels are joined one by one; what :func:`solve_tail` made in one task is
+        followed down in one task, too.
+        """
+        flat, parts = None, []
+        for at in range(1, min(self.tail_from, max(levels, default=0)) + 1):
             r = self.rows.where(F.col("level") == at).select("cluster", "member", (F.col("num") / F.col("den")).alias("p"), "carried")
-            if flat is None:
-                flat = r.selectExpr("cluster", "member as node", "p as share", "carried")
-            else:
-                up = flat.selectExpr("cluster as member", "node", "share", "carried as below")
-                still = F.col("carried") & F.col("below")
-                flat = r.join(up, "member").select("cluster", "node", (F.col("p") * F.col("share")).alias("share"), still.alias("carried"))
-                flat = flat.groupBy("cluster", "node").agg(F.round(F.sum("share"), 12).alias("share"), F.bool_and("carried").alias("carried"))
-        if not include_carried:
-            flat = flat.where("not carried")
-        return flat.select("cluster", "node", "share")
+            flat = materialize(r.selectExpr("cluster", "member as node", "p as share", "carried") if flat is None else _above(r, flat), "flat")
+            if at in levels:
+                parts.append(flat.select(F.lit(at).alias("level"), "cluster", "node", "share", "carried"))
+        later = [x for x in levels if x > self.tail_from]
+        if later:
+            tail = materialize(_follow_tail(self.rows, self.tail_from, later), "flat-tail")
+            parts.append(tail if flat is None else _above(tail.selectExpr("level", "cluster", "node as member", "share as p", "carried"), flat, ["level"]))
+        out = self.rows.select("level", "cluster", F.col("member").alias("node"), F.lit(1.0).alias("share"), "carried").where("false")
+        for x in parts:
+            out = out.unionByName(x)
+        return (out if include_carried else out.where("not carried")).select("level", "cluster", "node", "share")
 
     def report_frame(self, spark: SparkSession) -> DataFrame:
         """``level_report`` of the engine: counts and modularity of each level."""
@@ -64,6 +74,38 @@ class Hierarchy:
         self.rows.write.partitionBy("level").parquet(path)
 
 
+def _above(upper: DataFrame, flat: DataFrame, keys: list[str] | None = None) -> DataFrame:
+    """Members of a level's clusters in input nodes, from those of the level below."""
+    keys = keys or []
+    up = flat.selectExpr("cluster as member", "node", "share", "carried as below")
+    joined = upper.join(up, "member").select(*keys, "cluster", "node", (F.col("p") * F.col("share")).alias("share"), (F.col("carried") & F.col("below")).alias("carried"))
+    return joined.groupBy(*keys, "cluster", "node").agg(F.round(F.sum("share"), 12).alias("share"), F.bool_and("carried").alias("carried"))
+
+
+def _follow_tail(rows: DataFrame, start: int, levels: list[int]) -> DataFrame:
+    """``level, cluster, node, share, carried`` in items of level ``start``."""
+    wanted = set(levels)
+
+    def follow(pdf):
+        import pandas as pd
+
+        out, below = [], None
+        for level, part in pdf.sort_values("level").groupby("level"):
+            now: dict = defaultdict(lambda: defaultdict(Fraction))
+            carried: dict = {}
+            for c, m, num, den, alone in zip(part["cluster"], part["member"], part["num"], part["den"], part["carried"]):
+                for node, share in (below[0][m] if below else {m: Fraction(1)}).items():
+                    now[c][node] += share * Fraction(int(num), int(den))
+                carried[c] = bool(alone) and (below is None or below[1][m])
+            below = now, carried
+            if level in wanted:
+                out += [(level, c, node, round(float(share), 12), carried[c]) for c, nodes in now.items() for node, share in nodes.items()]
+        return pd.DataFrame(out, columns=["level", "cluster", "node", "share", "carried"]).astype({"level": "int32"})
+
+    tail = rows.where((F.col("level") > start) & (F.col("level") <= max(levels))).withColumn("whole", F.lit(0))
+    return tail.groupBy("whole").applyInPandas(follow, "level int, cluster long, node long, share double, carried boolean")
+
+
 def sample_levels(levels: int, most: int = 10) -> list[int]:
     """Evenly spaced levels, the first and the last among them."""
     if levels <= most:
@@ -92,7 +134,7 @@ class MutualPeakClusterer:
     def fit(self, net: Network) -> Hierarchy:
         """All levels. Large levels are DataFrame jobs; once a network has ``tail_links``
         links or fewer, one task finishes it by the same exact rules."""
-        p, parts, report = self.params, [], []
+        p, parts, report, joined = self.params, [], [], 0
         net = Network(materialize(net.links, "links"), materialize(net.nodes, "nodes"))
         level, q = 0, None
         while level < p.max_levels:
@@ -124,6 +166,7 @@ class MutualPeakClusterer:
             items = net.nodes.count()
             report.append({"level": level, "items": items, "links": net.links.count(), "clusters": counts[0], "pairs": sizes, "clustered": counts[1], "carried": items - counts[1], "split": members.where("den > 1").select("node").distinct().count(), "q_before": before, "q": q, "q_dropped": q < before})
             parts.append(every.select(F.lit(level).alias("level"), "cluster", F.col("node").alias("member"), "num", "den", "carried", F.lit(None).cast("string").alias("report")))
+            joined = level
             if p.stop_on_q_drop and q < before:
                 break
             net = nxt
@@ -131,7 +174,7 @@ class MutualPeakClusterer:
         rows = spark.createDataFrame([], _ROWS)
         for x in parts:
             rows = rows.union(x)
-        return Hierarchy(rows.drop("report"), report)
+        return Hierarchy(rows.drop("report"), report, joined)
 
 
 def solve_tail(net: Network, level: int, params: Params) -> DataFrame:

@@ -11,6 +11,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from peakgroups.functions.storage import materialize
+
 METRICS = "run string, algo string, dataset string, step int, level int, metric string, value double"
 
 
@@ -76,7 +78,9 @@ def best_level_score(hierarchy, truth: DataFrame, most: int = 10) -> tuple[int,
     """The best F1h over up to ten evenly spaced levels, with its level."""
     from peakgroups.plans.hierarchy import sample_levels
 
-    scores = [(f1_harmonic(hierarchy.flatten(at), truth), -at) for at in sample_levels(hierarchy.levels, most)]
+    picked = sample_levels(hierarchy.levels, most)
+    flat = materialize(hierarchy.flatten_levels(picked), "flat")
+    scores = [(f1_harmonic(flat.where(F.col("level") == at), truth), -at) for at in picked]
     score, at = max(scores, default=(0.0, 0))
     return -at, score
 

@@ -23,7 +23,9 @@ FRACTIONS, SHUFFLES = (0.01, 0.03, 0.05, 0.07, 0.09, 0.11, 0.13, 0.15), 4
 
 def _mutual_peak(net: Network) -> list[DataFrame]:
     h = MutualPeakClusterer().fit(net)
-    return [h.flatten(at) for at in sample_levels(h.levels)]
+    picked = sample_levels(h.levels)
+    flat = materialize(h.flatten_levels(picked), "flat")
+    return [flat.where(F.col("level") == at).select("cluster", "node", "share") for at in picked]
 
 
 #: Name -> levels of a network, or covers over the parameter's range for flat methods.
