@@ -70,7 +70,9 @@ def _may_match() -> str:
     _, common, length = _bounds()
     return f"""
       {length} and least(i, j) + 1 + least(n - 1 - i, m - 1 - j) >= {common}
-      and if(least(m, n) > {WIDE}, bit_count(more_bits ^ more_m) + bit_count(bits ^ bits_m ^ more_bits ^ more_m), bit_count(bits ^ bits_m)) <= m + n - 2 * ({common})
+      and case when least(m, n) > {WIDE} then bit_count(more_bits ^ more_m) + bit_count(bits ^ bits_m ^ more_bits ^ more_m)
+               when greatest(m, n) <= {WIDE} then greatest(bit_count(bits ^ bits_m), bit_count(more_bits ^ more_m))
+               else bit_count(bits ^ bits_m) end <= m + n - 2 * ({common})
     """
 
 
@@ -123,9 +125,11 @@ def kept_lines(docs: DataFrame, min_words: int = MIN_WORDS, doc_id: str = "doc_i
     prefix, _, _ = _bounds()
     coded = coded_lines(docs, ranks, min_words, doc_id, text).withColumn("n", F.size("codes"))
     parity = "aggregate(codes, 0L, (a, c) -> a ^ shiftleft(1L, cast(c & 63 as int)))"
-    # For each of 64 bits the parity of the words that fall on it, and, of longer lines, of
-    # half of them, which makes 128: sets differ in at least as many words as bits.
-    more = f"if(n > {WIDE}, aggregate(codes, 0L, (a, c) -> if(c & 64 = 0, a, a ^ shiftleft(1L, cast(c & 63 as int)))), 0L)"
+    # For each of 64 bits the parity of the words that fall on it: sets differ in at least as
+    # many words as bits. Of longer lines also of half of the words, which makes 128 bits; of
+    # shorter ones of all words once more, by other digits of their codes.
+    more = f"""aggregate(codes, 0L, (a, c) -> case when n <= {WIDE} then a ^ shiftleft(1L, cast(shiftright(c, 7) & 63 as int))
+                                            when c & 64 = 0 then a else a ^ shiftleft(1L, cast(c & 63 as int)) end)"""
     table = coded.select("doc_id", "text_key", "line", "n", F.xxhash64("codes").alias("sig"), F.expr(parity).alias("bits"), F.expr(more).alias("more_bits"), F.expr(f"slice(codes, 1, {prefix})").alias("prefix"))
     lines = materialize(table, "lines")
     per_doc = lines.groupBy("doc_id", "text_key").agg(F.count_if(F.expr("line = 0")).alias("copies"), F.count(F.lit(1)).alias("all"), F.count_if(F.expr("n > 0")).alias("eligible"))
