@@ -17,7 +17,8 @@ def test_stages_and_run_agree(spark):
         old, new = ({r.doc_id: r.text for r in d.collect()} for d in (before, docs))
         assert set(new) <= set(old)
         if name == "quality rules":
-            assert new == {i: old[i] for i in old if i in {r.doc_id for r in quality.judge(before).where("kept").collect()}}
+            kept = {r.doc_id for r in quality.judge(before).where("kept").collect()}
+            assert new == {i: old[i] for i in old if i in kept}
         elif name == "line dedup":
             gone = {r.doc_id: r.n_eligible - len(r.kept) for r in linededup.kept_lines(before).collect()}
             assert set(new) == set(old) and all(old[i].count("\n") + 1 - (len(new[i].split("\n")) if new[i] else 0) >= gone[i] - 1 for i in old)
