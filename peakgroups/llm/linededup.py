@@ -15,7 +15,7 @@ from __future__ import annotations
 import math
 import re
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from peakgroups.functions.storage import collect_garbage, materialize, release
@@ -25,8 +25,9 @@ from peakgroups.llm.text import SPACES, ascii_lower
 SIMILAR, MIN_WORDS = (4, 5), 5
 #: Buckets of the word counts; a bucket's rank has 7 bits of a word's code.
 BUCKETS = 1 << 16
-#: Rarest words of a line by which it is compared with the first line of each.
-LEAD = 4
+#: Last words of a line's prefix by which it is compared with the first lines of each, and
+#: the number of these: the first one of each class of hashes.
+LEAD, LEADERS = 4, 8
 #: Words beyond which a line has 128 parity bits.
 WIDE = 40
 
@@ -60,8 +61,9 @@ def _bounds() -> tuple[str, str, str]:
     return prefix, common, length
 
 
-def _postings(sets: DataFrame, tokens: str) -> DataFrame:
-    return sets.select("sig", "n", "bits", "more_bits", "doc_id", F.posexplode_outer(F.expr(tokens)).alias("i", "code"))
+def _postings(sets: DataFrame, tokens: str, *more: Column) -> DataFrame:
+    own = ("sig", "n", "bits", "more_bits", "doc_id")
+    return sets.select(*own, "prefix", F.posexplode_outer(F.expr(tokens)).alias("i", "code")).select(*own, "i", "code", *more)
 
 
 #: On the columns of two postings with the same code, the one set's as m, j, bits_m: the
@@ -139,11 +141,13 @@ def kept_lines(docs: DataFrame, min_words: int = MIN_WORDS, doc_id: str = "doc_i
     sets = materialize(lines.where("n > 0").groupBy("sig").agg(first).select("sig", "x.*"), "sets")
     release(lines)
 
-    # Each set with the first one of each of its rarest words: linear, and settles most of a
-    # large group of near copies.
-    lead = _postings(sets, f"slice(prefix, 1, {LEAD})")
-    leaders = lead.groupBy("code").agg(F.min(F.struct("doc_id", "sig", "n", "i", "bits", "more_bits")).alias("x"), F.count(F.lit(1)).alias("c")).where("c > 1")
-    leaders = materialize(leaders.select("code", F.col("x.sig").alias("other"), F.col("x.n").alias("m"), F.col("x.i").alias("j"), F.col("x.bits").alias("bits_m"), F.col("x.more_bits").alias("more_m")), "leaders")
+    # Each set with a fixed number of first ones of some of its words: linear, and settles
+    # most that can go of a large group of near copies. Of a prefix the last words are the
+    # ones that near copies share; the first are those by which they differ.
+    lead = _postings(sets, f"slice(prefix, greatest(size(prefix) - {LEAD - 1}, 1), {LEAD})").withColumn("i", F.expr(f"i + greatest({prefix} - {LEAD}, 0)"))
+    leaders = lead.groupBy("code", F.expr(f"pmod(sig, {LEADERS})")).agg(F.min(F.struct("doc_id", "sig", "n", "i", "bits", "more_bits")).alias("x"), F.count(F.lit(1)).alias("c"))
+    leaders = leaders.groupBy("code").agg(F.collect_list("x").alias("xs"), F.sum("c").alias("c")).where("c > 1").select("code", F.inline("xs"))
+    leaders = materialize(leaders.select("code", F.col("sig").alias("other"), F.col("n").alias("m"), F.col("i").alias("j"), F.col("bits").alias("bits_m"), F.col("more_bits").alias("more_m")), "leaders")
     near = lead.join(leaders, "code").where(f"sig <> other and {_may_match()}").select(F.least("sig", "other").alias("a"), F.greatest("sig", "other").alias("b"))
     pairs = materialize(near.distinct(), "lead-pairs")
     gone = materialize(_verified(pairs, sets, docs, ranks, repeated, doc_id, text), "gone")
@@ -154,11 +158,12 @@ def kept_lines(docs: DataFrame, min_words: int = MIN_WORDS, doc_id: str = "doc_i
     release(sets)
     # Both sides are one exchange, as neither has a condition or a column of its own: sets
     # that are gone have their size negated, and the length filter fails for these on the
-    # side that looks for an earlier match.
-    x, y = (_postings(flagged.withColumn("n", F.expr("if(gone, -n, n)")).drop("gone"), "prefix").alias(side) for side in "xy")
+    # side that looks for an earlier match. Of words that two sets share one after another
+    # only the first counts.
+    x, y = (_postings(flagged.withColumn("n", F.expr("if(gone, -n, n)")).drop("gone"), "prefix", F.get("prefix", F.col("i") - 1).alias("prior")).alias(side) for side in "xy")
     size = {"n": "x.n", "m": "abs(y.n)", "i": "x.i", "j": "y.i", "bits": "x.bits", "bits_m": "y.bits", "more_bits": "x.more_bits", "more_m": "y.more_bits"}
     match = re.sub(r"\b(bits_m|more_m|more_bits|bits|n|m|i|j)\b", lambda w: size[w[0]], _may_match())
-    near = x.join(y, F.expr(f"x.code = y.code and x.sig <> y.sig and coalesce(y.doc_id <= x.doc_id, true) and {match}"))
+    near = x.join(y, F.expr(f"x.code = y.code and x.sig <> y.sig and coalesce(y.doc_id <= x.doc_id, true) and coalesce(x.prior <> y.prior, true) and {match}"))
     near = near.select(F.expr("least(x.sig, y.sig)").alias("a"), F.expr("greatest(x.sig, y.sig)").alias("b"))
     rest = materialize(near.distinct().join(pairs, ["a", "b"], "left_anti"), "pairs")
     collect_garbage(docs.sparkSession)
