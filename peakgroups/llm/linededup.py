@@ -14,6 +14,7 @@ from __future__ import annotations
 
 import math
 import re
+from collections.abc import Iterator
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -36,11 +37,25 @@ def word_ranks(docs: DataFrame, text: str = "text") -> list[int]:
     """Rank of each bucket: quarter powers of two of its number of words in all texts."""
     words = docs.select(F.explode_outer(F.split(ascii_lower(F.col(text)), SPACES)).alias("w")).select(F.pmod(F.xxhash64("w"), F.lit(BUCKETS)).cast("int").alias("b"))
     ranks = [0] * BUCKETS
-    for r in words.groupBy("b").count().collect():  # a row for each bucket at most
-        ranks[r.b] = min(127, round(4 * math.log2(r["count"] + 1)))
+    for b, count in _small_table(words.groupBy("b").count()):  # a row for each bucket at most
+        ranks[b] = min(127, round(4 * math.log2(count + 1)))
     return ranks
 
 
+def _small_table(table: DataFrame) -> Iterator[tuple[int, int]]:
+    """Rows of a table of two whole numbers and of a fixed size, the first one a place from 0.
+
+    They come to the driver as one string for each 256 places, as an object for each row
+    takes far more of its memory.
+    """
+    place, value = table.columns
+    packed = table.groupBy(F.expr(f"{place} div 256")).agg(F.array_join(F.collect_list(F.concat_ws(":", place, value)), ",").alias("s"))
+    for r in packed.collect():
+        for x in r.s.split(","):
+            at, held = x.split(":")
+            yield int(at), int(held)
+
+
 def coded_lines(docs: DataFrame, ranks: list[int], min_words: int = MIN_WORDS, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """``doc_id, text_key, line, codes``: a line's words as codes, rarest first; null codes
     if it has fewer than ``min_words`` distinct words. A null text is one empty line."""
@@ -93,8 +108,8 @@ def _verified(pairs: DataFrame, sets: DataFrame, docs: DataFrame, ranks: list[in
     places = holders.select(F.explode(F.array(*[level._place(F.col("text_key"), j) for j in range(3)])).alias("p"))
     filled = places.groupBy(F.floor(F.col("p") / 64).cast("int").alias("w")).agg(F.expr("bit_or(shiftleft(1L, cast(p % 64 as int)))").alias("v"))
     words = [0] * (level.bits // 64)
-    for r in filled.collect():  # 32,768 rows at most
-        words[r.w] = r.v
+    for w, v in _small_table(filled):  # 32,768 rows at most
+        words[w] = v
     level = Level(11, 3, level.bits, tuple(words))
     key = F.xxhash64(F.coalesce(F.col(text), F.lit("")))
     some = docs.select(F.col(doc_id).alias("_id"), F.col(text).alias("_text"), key.alias("_key")).where(level.holds(F.col("_key")))
