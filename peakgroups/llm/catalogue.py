@@ -11,6 +11,7 @@ def queries() -> dict:
         "op1_decontaminate": decontaminate.op1_decontaminate,
         "op2_simhash": simhash.op2_simhash,
         "op3_line_dedup": linededup.op3_line_dedup,
+        "op3_every_line": linededup.op3_every_line,
         "op4_license_scan": licenses.op4_license_scan,
         "op5_warc": warc.op5_warc,
         "op6_quality_rules": quality.op6_quality_rules,
@@ -23,4 +24,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict:
-    return {"op1_decontaminate": decontaminate.OP1_SQL, "op3_line_dedup": linededup.OP3_SQL, "op5_warc": warc.OP5_SQL, "op6_quality_rules": quality.OP6_SQL, "op9_url_filter": urls.OP9_SQL, "op10_mix_sources": mixing.OP10_SQL}
+    return {"op1_decontaminate": decontaminate.OP1_SQL, "op3_line_dedup": linededup.OP3_SQL, "op3_every_line": linededup.OP3_EVERY_SQL, "op5_warc": warc.OP5_SQL, "op6_quality_rules": quality.OP6_SQL, "op9_url_filter": urls.OP9_SQL, "op10_mix_sources": mixing.OP10_SQL}

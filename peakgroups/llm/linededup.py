@@ -22,8 +22,10 @@ from pyspark.sql import functions as F
 from peakgroups.functions.storage import collect_garbage, materialize, release
 from peakgroups.llm.text import SPACES, ascii_lower
 
-#: Jaccard similarity as a fraction, and distinct words below which a line always stays.
+#: Jaccard similarity as a fraction, and distinct words below which OP3_SQL lets a line stay.
 SIMILAR, MIN_WORDS = (4, 5), 5
+#: Words from which a set can be as similar to a larger one; smaller ones only match equals.
+SMALLEST = -(-SIMILAR[0] // (SIMILAR[1] - SIMILAR[0]))
 #: Buckets of the word counts; a bucket's rank has 7 bits of a word's code.
 BUCKETS = 1 << 16
 #: Last words of a line's prefix by which it is compared with the first lines of each, and
@@ -56,7 +58,7 @@ def _small_table(table: DataFrame) -> Iterator[tuple[int, int]]:
             yield int(at), int(held)
 
 
-def coded_lines(docs: DataFrame, ranks: list[int], min_words: int = MIN_WORDS, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def coded_lines(docs: DataFrame, ranks: list[int], min_words: int = 1, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """``doc_id, text_key, line, codes``: a line's words as codes, rarest first; null codes
     if it has fewer than ``min_words`` distinct words. A null text is one empty line."""
     table = f"cast(split('{','.join(map(str, ranks))}', ',') as array<bigint>)"
@@ -131,9 +133,11 @@ def _verified(pairs: DataFrame, sets: DataFrame, docs: DataFrame, ranks: list[in
     return found.distinct()
 
 
-def kept_lines(docs: DataFrame, min_words: int = MIN_WORDS, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def kept_lines(docs: DataFrame, min_words: int = 1, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """``doc_id, text_key, copies, n_lines, n_eligible, kept``: rows with equal id and text
-    are one with ``copies``; ``kept`` are the eligible lines (from 0) that stay.
+    are one with ``copies``; ``kept`` are the eligible lines (from 0) that stay. Eligible are
+    lines of ``min_words`` distinct words or more, by default all that have a word. Of fewer
+    than ``SMALLEST`` words a line matches only equal sets, which grouping by ``sig`` finds.
 
     Equal lines of rows that repeat id and text stand at the same place, so all stay or go
     together. Null ids come first in order.
@@ -147,7 +151,7 @@ def kept_lines(docs: DataFrame, min_words: int = MIN_WORDS, doc_id: str = "doc_i
     # shorter ones of all words once more, by other digits of their codes.
     more = f"""aggregate(codes, 0L, (a, c) -> case when n <= {WIDE} then a ^ shiftleft(1L, cast(shiftright(c, 7) & 63 as int))
                                             when c & 64 = 0 then a else a ^ shiftleft(1L, cast(c & 63 as int)) end)"""
-    table = coded.select("doc_id", "text_key", "line", "n", F.xxhash64("codes").alias("sig"), F.expr(parity).alias("bits"), F.expr(more).alias("more_bits"), F.expr(f"slice(codes, 1, {prefix})").alias("prefix"))
+    table = coded.select("doc_id", "text_key", "line", "n", F.xxhash64("codes").alias("sig"), *[F.expr(f"if(n >= {SMALLEST}, {x}, null)").alias(c) for c, x in (("bits", parity), ("more_bits", more), ("prefix", f"slice(codes, 1, {prefix})"))])
     lines = materialize(table, "lines")
     per_doc = lines.groupBy("doc_id", "text_key").agg(F.count_if(F.expr("line = 0")).alias("copies"), F.count(F.lit(1)).alias("all"), F.count_if(F.expr("n > 0")).alias("eligible"))
     per_doc = materialize(per_doc, "per-doc")
@@ -159,7 +163,8 @@ def kept_lines(docs: DataFrame, min_words: int = MIN_WORDS, doc_id: str = "doc_i
     # Each set with a fixed number of first ones of some of its words: linear, and settles
     # most that can go of a large group of near copies. Of a prefix the last words are the
     # ones that near copies share; the first are those by which they differ.
-    lead = _postings(sets, f"slice(prefix, greatest(size(prefix) - {LEAD - 1}, 1), {LEAD})").withColumn("i", F.expr(f"i + greatest({prefix} - {LEAD}, 0)"))
+    compared = f"abs(n) >= {SMALLEST}"
+    lead = _postings(sets.where(compared), f"slice(prefix, greatest(size(prefix) - {LEAD - 1}, 1), {LEAD})").withColumn("i", F.expr(f"i + greatest({prefix} - {LEAD}, 0)"))
     leaders = lead.groupBy("code", F.expr(f"pmod(sig, {LEADERS})")).agg(F.min(F.struct("doc_id", "sig", "n", "i", "bits", "more_bits")).alias("x"), F.count(F.lit(1)).alias("c"))
     leaders = leaders.groupBy("code").agg(F.collect_list("x").alias("xs"), F.sum("c").alias("c")).where("c > 1").select("code", F.inline("xs"))
     leaders = materialize(leaders.select("code", F.col("sig").alias("other"), F.col("n").alias("m"), F.col("i").alias("j"), F.col("bits").alias("bits_m"), F.col("more_bits").alias("more_m")), "leaders")
@@ -175,7 +180,7 @@ def kept_lines(docs: DataFrame, min_words: int = MIN_WORDS, doc_id: str = "doc_i
     # that are gone have their size negated, and the length filter fails for these on the
     # side that looks for an earlier match. Of words that two sets share one after another
     # only the first counts.
-    x, y = (_postings(flagged.withColumn("n", F.expr("if(gone, -n, n)")).drop("gone"), "prefix", F.get("prefix", F.col("i") - 1).alias("prior")).alias(side) for side in "xy")
+    x, y = (_postings(flagged.withColumn("n", F.expr("if(gone, -n, n)")).drop("gone").where(compared), "prefix", F.get("prefix", F.col("i") - 1).alias("prior")).alias(side) for side in "xy")
     size = {"n": "x.n", "m": "abs(y.n)", "i": "x.i", "j": "y.i", "bits": "x.bits", "bits_m": "y.bits", "more_bits": "x.more_bits", "more_m": "y.more_bits"}
     match = re.sub(r"\b(bits_m|more_m|more_bits|bits|n|m|i|j)\b", lambda w: size[w[0]], _may_match())
     near = x.join(y, F.expr(f"x.code = y.code and x.sig <> y.sig and coalesce(y.doc_id <= x.doc_id, true) and coalesce(x.prior <> y.prior, true) and {match}"))
@@ -189,7 +194,7 @@ def kept_lines(docs: DataFrame, min_words: int = MIN_WORDS, doc_id: str = "doc_i
     return out.select("doc_id", "text_key", "copies", F.expr("`all` div copies").alias("n_lines"), F.expr("eligible div copies").alias("n_eligible"), F.coalesce("kept", F.expr("cast(array() as array<int>)")).alias("kept"))
 
 
-def dedup_lines(docs: DataFrame, min_words: int = MIN_WORDS, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def dedup_lines(docs: DataFrame, min_words: int = 1, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """``docs`` without the lines that match an earlier one; all rows and columns stay."""
     changed = kept_lines(docs, min_words, doc_id, text).where("size(kept) < n_eligible")
     changed = materialize(changed.select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"), F.col("kept").alias("_kept")), "changed")
@@ -200,9 +205,12 @@ def dedup_lines(docs: DataFrame, min_words: int = MIN_WORDS, doc_id: str = "doc_
     return joined.select(*[F.when(F.col("_kept").isNull(), F.col(text)).otherwise(cut).alias(text) if c == text else docs[c] for c in docs.columns])
 
 
-def op3_line_dedup(spark, sf_dir):
-    """Per document: its lines, those long enough to compare, those removed, and which stay."""
-    found = kept_lines(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+def op3_line_dedup(spark, sf_dir, min_words: int = MIN_WORDS):
+    """Per document: its lines, those long enough to compare, those removed, and which stay.
+
+    Which are long enough is as OP3_SQL says; op3_every_line compares all that have a word.
+    """
+    found = kept_lines(spark.read.parquet(f"{sf_dir}/documents.parquet"), min_words)
     return found.select(
         F.explode(F.array_repeat(F.lit(1), F.col("copies").cast("int"))).alias("copy"),
         "doc_id", "n_lines", "n_eligible", (F.col("n_eligible") - F.size("kept")).alias("n_removed"),
@@ -210,6 +218,11 @@ def op3_line_dedup(spark, sf_dir):
     ).drop("copy")
 
 
+def op3_every_line(spark, sf_dir):
+    """:func:`op3_line_dedup` of all lines with a word."""
+    return op3_line_dedup(spark, sf_dir, 1)
+
+
 _P, _Q = SIMILAR
 OP3_SQL = rf"""
 with lines as (
@@ -232,3 +245,5 @@ select doc_id, count(*) as n_lines, count(*) filter (where len(ws) >= {MIN_WORDS
        coalesce(string_agg(cast(stay.line as varchar), ',' order by stay.line), '') as kept_lines
 from lines left join stay using (doc_id, line) group by doc_id
 """
+#: The same without the bound.
+OP3_EVERY_SQL = OP3_SQL.replace(f"len(ws) >= {MIN_WORDS}", "len(ws) >= 1")

@@ -206,6 +206,22 @@ def test_mixing_limits(spark):
     assert mixing.mix(d, budget=3000, max_repeats=3.0).groupBy("doc_id", "mix_epoch").count().where("count > 1").count() == 0
 
 
+def test_short_lines_are_compared(spark):
+    rows = [(1, "Menu\n\na b c d\nx y z\na a b b"), (2, "menu\n\nd c b a e\nx y w\nb a"), (3, "e f g h i\nMENU menu\nx y z q"), (4, "h g f e\nx  z y")]
+    d = spark.createDataFrame(rows, "doc_id long, text string")
+    # Four of five words are as similar as asked, three of four are not; blank lines stay.
+    assert {r.doc_id: r.text for r in linededup.dedup_lines(d).collect()} == {1: rows[0][1], 2: "\nx y w", 3: "e f g h i\nx y z q", 4: ""}
+
+
+def test_every_line_same_as_sql(spark):
+    con = duckdb.connect()
+    con.execute(f"create view documents as select * from '{SF}/documents.parquet'")
+    names = ["doc_id", "n_lines", "n_eligible", "n_removed", "kept_lines"]
+    want = con.execute(f"select {', '.join(names)} from ({linededup.OP3_EVERY_SQL})").fetchall()
+    got = [tuple(r) for r in linededup.op3_every_line(spark, SF).select(*names).collect()]
+    assert sorted(got) == sorted(want)
+
+
 SQL = {
     "op1": (decontaminate.op1_decontaminate, decontaminate.OP1_SQL),
     "op3": (linededup.op3_line_dedup, linededup.OP3_SQL),
