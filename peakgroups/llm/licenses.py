@@ -1,7 +1,8 @@
 """License detection by ordered signature rules (operator 4, DataFrame functions only).
 
 Signatures are regular expressions over a text's words, which stand in lower case with a
-space before and after each. A signature is tried only where its keyword occurs. Of two
+space before and after each. A signature is tried only where one of its keywords occurs,
+of which each text that it matches has one. Of two
 detections, one that lies within another of the same or a higher rank is dropped.
 """
 
@@ -18,14 +19,15 @@ from peakgroups.llm.text import alnum_words, guarded
 #: Base phrases and their labels: fixed values.
 PHRASES = {"gnu general public license": "gpl", "apache license": "apache", "cc by": "cc-by", "mit license": "mit"}
 
-#: label, keyword, how the license is named, its identifier as words. Written by hand.
+#: label, keywords of which every name has one, how the license is named, its identifier as
+#: words. Written by hand.
 FAMILIES = (
     ("gpl", "gnu", r"gnu (?:general public licen[sc]e|gpl)(?: (?:version|v) ?[123])?", r"gpl [123](?: 0)?(?: only| or later)?"),
-    ("gpl", "gpl", r"gpl(?: ?v?[123])?(?: or later)?", r"gpl v?[123]"),
+    ("gpl", "gpl gplv1 gplv2 gplv3 gpl1 gpl2 gpl3", r"gpl(?: ?v?[123])?(?: or later)?", r"gpl v?[123]"),
     ("lgpl", "lesser", r"(?:gnu )?lesser general public licen[sc]e", r"lgpl [23](?: [01])?(?: only| or later)?"),
-    ("lgpl", "lgpl", r"(?:gnu )?lgpl(?: ?v?[23])?", r"lgpl v?[23]"),
+    ("lgpl", "lgpl lgplv2 lgplv3 lgpl2 lgpl3", r"(?:gnu )?lgpl(?: ?v?[23])?", r"lgpl v?[23]"),
     ("agpl", "affero", r"(?:gnu )?affero general public licen[sc]e", r"agpl 3(?: 0)?(?: only| or later)?"),
-    ("agpl", "agpl", r"(?:gnu )?agpl(?: ?v?3)?", r"agpl v?3"),
+    ("agpl", "agpl agplv3 agpl3", r"(?:gnu )?agpl(?: ?v?3)?", r"agpl v?3"),
     ("apache", "apache", r"apache(?: software)? licen[sc]e(?: version [12](?: [01])?)?", r"apache [12](?: [01])?"),
     ("mit", "mit", r"mit(?: expat)? licen[sc]e", r"mit"),
     ("mit", "expat", r"expat licen[sc]e", r"expat"),
@@ -33,8 +35,8 @@ FAMILIES = (
     ("mpl", "mozilla", r"mozilla public licen[sc]e(?: version [12](?: [01])?)?", r"mpl [12](?: [01])?"),
     ("epl", "eclipse", r"eclipse public licen[sc]e(?: v?[12](?: 0)?)?", r"epl [12](?: 0)?"),
     ("cc-by", "attribution", r"creative commons attribution(?: [1234](?: 0)?)?(?: international)?(?: licen[sc]e)?", r"cc by [1234](?: 0)?"),
-    ("cc-by-sa", "sharealike", r"(?:creative commons )?attribution share ?alike(?: [1234](?: 0)?)?", r"cc by sa(?: [1234](?: 0)?)?"),
-    ("cc-by-nc", "noncommercial", r"(?:creative commons )?attribution non ?commercial(?: [1234](?: 0)?)?", r"cc by nc(?: [1234](?: 0)?)?"),
+    ("cc-by-sa", "attribution", r"(?:creative commons )?attribution share ?alike(?: [1234](?: 0)?)?", r"cc by sa(?: [1234](?: 0)?)?"),
+    ("cc-by-nc", "attribution", r"(?:creative commons )?attribution non ?commercial(?: [1234](?: 0)?)?", r"cc by nc(?: [1234](?: 0)?)?"),
     ("cc0", "cc0", r"cc0(?: 1 0)?(?: universal)?", r"cc0 1(?: 0)?"),
     ("public-domain", "domain", r"public domain", r"pddl 1(?: 0)?"),
     ("unlicense", "unlicense", r"unlicense", r"unlicense"),
@@ -45,7 +47,7 @@ FAMILIES = (
     ("wtfpl", "wtfpl", r"wtfpl", r"wtfpl"),
     ("cddl", "cddl", r"cddl(?: 1 [01])?", r"cddl 1 [01]"),
     ("eupl", "eupl", r"eupl(?: 1 [012])?", r"eupl 1 [012]"),
-    ("ofl", "ofl", r"(?:sil )?(?:open font licen[sc]e|ofl)(?: 1 1)?", r"ofl 1 [01]"),
+    ("ofl", "ofl font", r"(?:sil )?(?:open font licen[sc]e|ofl)(?: 1 1)?", r"ofl 1 [01]"),
     ("postgresql", "postgresql", r"postgresql licen[sc]e", r"postgresql"),
     ("psf", "python", r"python software foundation licen[sc]e", r"psf 2(?: 0)?"),
     ("php", "php", r"php licen[sc]e(?: version 3(?: 0\d?)?)?", r"php 3(?: 0\d?)?"),
@@ -64,24 +66,34 @@ SHAPES = (
     ("copy", 2, 0.8, r"(?:a )?copy of (?:the )?NAME"),
     ("mention", 3, 0.6, r"NAME"),
 )
+#: label, keywords, a sentence of the license's own text. Written by hand.
+BODIES = (
+    ("mit", "hereby", r"permission is hereby granted free of charge to any person obtaining a copy of this software"),
+    ("boost", "hereby", r"permission is hereby granted free of charge to any person or organization obtaining a copy of the software"),
+    ("isc", "hereby", r"permission to use copy modify and (?:or )?distribute this software for any purpose with or without fee is hereby granted"),
+    ("bsd", "redistribution", r"redistribution and use in source and binary forms with or without modification are permitted"),
+    ("zlib", "liable", r"this software is provided as is without any express or implied warranty in no event will the authors be held liable"),
+    ("unlicense", "unencumbered", r"this is free and unencumbered software released into the public domain"),
+)
 
 
 @dataclass(frozen=True)
 class Signature:
     label: str
-    keyword: str
+    keywords: list[str]
     rank: int
     confidence: float
     pattern: str
 
 
 def signatures() -> list[Signature]:
-    """Every shape for every family: 300 rules, by rank and then as listed."""
+    """Every shape for every family, 300 rules, and the bodies, by rank and then as listed."""
     made = [
-        Signature(label, keyword, rank, sure, shape.replace("NAME", f"(?:{name})").replace("ID", f"(?:{ident})"))
+        Signature(label, ["spdx"] if "ID" in shape else keywords.split(), rank, sure, shape.replace("NAME", f"(?:{name})").replace("ID", f"(?:{ident})"))
         for _, rank, sure, shape in SHAPES
-        for label, keyword, name, ident in FAMILIES
+        for label, keywords, name, ident in FAMILIES
     ]
+    made += [Signature(label, keywords.split(), 2, 0.9, text) for label, keywords, text in BODIES]
     return sorted(made, key=lambda s: s.rank)
 
 
@@ -93,10 +105,13 @@ def _base_places() -> str:
     return f"filter(transform(words, (w, i) -> case {whens} end), x -> x is not null)"
 
 
+#: Each signature has a word that says it is about a license, or one used for little else.
+WORDED = " (?:licen[sc]e[sd]?|spdx|unlicense|wtfpl|cc0|[al]?gpl(?:v?[123])?|cddl|eupl|ofl|gnu|domain|attribution|released|distributed|bsd|hereby|redistribution|liable|unencumbered) "
+
 # Words that a signature covers are marked at both ends; as words hold no control
 # characters, the marks give the places of the first and the last word.
 _DETECTIONS = r"""
-  flatten(transform(filter(rules, r -> contains(joined, concat(' ', r.keyword, ' '))), r ->
+  flatten(transform(filter(rules, r -> exists(r.keywords, k -> contains(joined, concat(' ', k, ' ')))), r ->
     transform(
       filter(array(split(regexp_replace(joined, concat('(?<= )(?:', r.pattern, ')(?= )'), concat(unhex('01'), '$0', unhex('02'))), ' ')), m -> size(m) > 0),
       m -> struct(r.rank as rank, r.label as label, r.confidence as confidence,
@@ -132,13 +147,12 @@ def scan(docs: DataFrame, rules: list[Signature] | None = None, doc_id: str = "d
     none). A null text counts as empty: no words, no labels, null places.
     """
     table = json.dumps([s.__dict__ for s in rules or signatures()])
-    shape = "array<struct<label: string, keyword: string, rank: int, confidence: double, pattern: string>>"
+    shape = "array<struct<label: string, keywords: array<string>, rank: int, confidence: double, pattern: string>>"
     d = docs.select(F.col(doc_id).alias("doc_id"), alnum_words(F.col(text)).alias("words"))
     d = d.withColumn("joined", F.concat(F.lit(" "), F.array_join("words", " "), F.lit(" ")))
     gate = " or ".join(f"contains(joined, ' {p} ')" for p in PHRASES)
     d = d.withColumn("places", F.expr(f"if({gate}, {_base_places()}, cast(array() as array<struct<at: int, label: string>>))"))
-    # Each signature has a word that says it is about a license, or a name used for nothing else.
-    worded = "joined rlike ' (?:licen[sc]e[sd]?|spdx|unlicense|wtfpl|cc0|gpl|lgpl|agpl|cddl|eupl|ofl|gnu|domain|attribution|released|distributed|bsd) '"
+    worded = f"joined rlike '{WORDED}'"
     d = d.withColumn("rules", F.from_json(F.lit(table), shape))
     found = f"if({worded}, {_DETECTIONS}, null)"
     d = d.withColumn("found", F.expr(found)).drop("rules")
