@@ -26,8 +26,9 @@ BLOCK = 1 << 22
 FILE_RECORDS = 4000
 #: The date that records carry unless one is given.
 DATE = "1970-01-01T00:00:00Z"
-_MAGIC = re.compile(rb"WARC/1\.[01]\r\n")
-_HEADER_BYTES = 1 << 16
+#: A record is the first of its file or comes after the two line ends of another, so the
+#: headers of candidates do not overlap and need no limit of their own.
+_MAGIC = re.compile(rb"(?:\A|(?<=\r\n\r\n))WARC/1\.[01]\r\n")
 _HTTP = "HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\n"
 #: Base 32 digits of numbers in Java and of RFC 4648: fixed values.
 _JAVA32, _RFC32 = "0123456789ABCDEFGHIJKLMNOPQRSTUV", "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"
@@ -82,7 +83,7 @@ def write_archives(records: DataFrame, path: str, date: str = DATE, file_records
 
 
 def _head(data: memoryview | bytes, at: int) -> tuple[dict[str, str], int] | None:
-    end = data.find(b"\r\n\r\n", at, at + _HEADER_BYTES)
+    end = data.find(b"\r\n\r\n", at)
     if end < 0:
         return None
     lines = data[at:end].decode("utf-8", "replace").split("\r\n")[1:]
@@ -167,12 +168,12 @@ def chain_entries(candidates: DataFrame) -> DataFrame:
     return reached
 
 
-def read_archives(spark: SparkSession, path: str, block: int = BLOCK, payloads: bool = False) -> DataFrame:
+def read_archives(spark: SparkSession, path: str, block: int = BLOCK, payloads: bool = False, whole: bool = False) -> DataFrame:
     """Records of all files under ``path``; quoted and cut-off ones are rejected.
 
     ``page_id, payload_bytes, payload_digest, record_type, refers_to, url, payload``; the
     digest and size of a response are those of the bytes read. A file that does not begin
-    with a record has none.
+    with a record has none. With ``whole`` a file whose records stop before its end is an error.
     """
     found = materialize(candidate_records(spark, path, block, payloads), "candidates")
     entries = chain_entries(found).select("file", F.floor(F.col("offset") / block).alias("block"), F.col("offset").alias("entry"))
@@ -183,13 +184,20 @@ def read_archives(spark: SparkSession, path: str, block: int = BLOCK, payloads:
     """
     blocks = found.groupBy("file", "block").agg(F.collect_list(F.struct("offset", "successor")).alias("hops"))
     good = blocks.join(entries, ["file", "block"]).select("file", F.explode(F.expr(on_chain)).alias("offset"))
+    if whole:
+        good = materialize(good, "good")
+        ends = found.join(good, ["file", "offset"]).groupBy("file").agg(F.max("successor").alias("end"))
+        sizes = spark.read.format("binaryFile").option("pathGlobFilter", "part-*").load(path).select(F.col("path").alias("file"), "length")
+        short = sizes.join(ends, "file", "left").where("length <> coalesce(end, 0)").first()
+        if short:
+            raise ValueError(f"records of {short['file']} stop at byte {short['end'] or 0} of {short['length']}")
     return found.join(good, ["file", "offset"]).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "url", "payload")
 
 
 def op5_warc(spark, sf_dir):
     path = shared_path(spark, "warc")
     write_archives(deduplicated(spark.read.parquet(f"{sf_dir}/pages.parquet")), path)
-    return read_archives(spark, path).drop("url", "payload")
+    return read_archives(spark, path, whole=True).drop("url", "payload")
 
 
 _FORTY = "list_transform(range(0, 4), lambda k: cast('0x' || substr(sha1(coalesce(html, '')), cast(1 + 10 * k as int), 10) as bigint))"
