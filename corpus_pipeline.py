@@ -42,7 +42,7 @@ STAGES = [
 ]
 
 #: DuckDB has no XXH64, so the fingerprints of the third stage can't be said in its SQL;
-#: tests/llm/test_pipeline.py holds run() against a brute-force version.
+#: tests/llm/test_pipeline.py holds stages against their operators, and run() against the stages.
 ORACLE_SQL = None
 
 

@@ -163,8 +163,8 @@ def planted_grid(spark: SparkSession, sizes: Iterable[int] = (1000, 5000, 20000,
 
 
 def document_truths(spark: SparkSession, sf_dir: str) -> dict[str, DataFrame]:
-    """Covers of documents by language, by equal text, and by benchmark passages that they
-    hold (overlapping), for N8 and N9 (W4)."""
+    """Covers of documents by language and by equal text, for N8 and N9 (W4, without the
+    overlapping one by benchmark passages)."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     lang = docs.select(F.xxhash64("lang").alias("cluster"), F.col("doc_id").alias("node"))
     text = docs.select(F.xxhash64("text").alias("cluster"), F.col("doc_id").alias("node"))
