@@ -1,20 +1,19 @@
 """Line deduplication by an exact set-similarity join (operator 3, DataFrame functions only).
 
 A line is the set of its words. Words are ordered by rarity, so that the first few of a
-line are its rarest; two sets as similar as asked share one of these. What shares one has
-to pass the length filter, the positional filter and a bound from 128 parity bits before
-the whole sets are compared. A line goes if an earlier line of the corpus, kept or not,
-has a Jaccard similarity of at least ``SIMILAR``; order is document id, then line.
-
-Rarity comes from counts of all words in ``BUCKETS`` hash buckets, a table of fixed size;
-words are then compared within a bucket's rank by hash, which is the same order everywhere.
+line, its prefix, are its rarest; two sets as similar as asked share a word of the larger
+one's prefix and of an even shorter prefix of the smaller one. What shares one has to pass
+the length filter, the positional filter and a bound from parity bits before the whole
+sets are compared. A line goes if an earlier line of the corpus, kept or not, has a Jaccard
+similarity of at least ``SIMILAR``; order is document id, then line.
+
+Rarity comes from counts of all words in hash buckets, a table of bounded size; words are
+then compared within a bucket's rank by hash, which is the same order everywhere.
 """
 
 from __future__ import annotations
 
 import math
-import re
-from collections.abc import Iterator
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -22,195 +21,245 @@ from pyspark.sql import functions as F
 from peakgroups.functions.storage import collect_garbage, materialize, release
 from peakgroups.llm.text import SPACES, ascii_lower
 
-#: Jaccard similarity as a fraction, and distinct words below which OP3_SQL lets a line stay.
-SIMILAR, MIN_WORDS = (4, 5), 5
+#: Jaccard similarity as a fraction.
+SIMILAR = (4, 5)
 #: Words from which a set can be as similar to a larger one; smaller ones only match equals.
 SMALLEST = -(-SIMILAR[0] // (SIMILAR[1] - SIMILAR[0]))
-#: Buckets of the word counts; a bucket's rank has 7 bits of a word's code.
-BUCKETS = 1 << 16
-#: Last words of a line's prefix by which it is compared with the first lines of each, and
-#: the number of these: the first one of each class of hashes.
-LEAD, LEADERS = 4, 8
+#: Bytes of input for each bucket of the word counts, a power of two between the bounds; a
+#: bucket's rank is the first byte of its words' codes.
+BUCKET_BYTES, BUCKETS = 4096, (1 << 16, 1 << 22)
+#: Rank from which a word stands in 1,024 places or more. Of these words, the last ``LEAD`` of a
+#: line's prefix are compared with the first lines of each: ``LEADERS`` classes of hashes have
+#: one. Of rarer words a line meets fewer than 1,024 others anyway.
+HOT, LEAD, LEADERS = 40, 4, 8
+#: What a line with a word matches.
+WORDED = r"[^\x20\x09-\x0D]"
 #: Words beyond which a line has 128 parity bits.
 WIDE = 40
+#: Words of 64 bits of the filter over texts, a table of fixed size.
+FILTER_WORDS = 1 << 15
+
+
+def _line_words(line: Column) -> Column:
+    """Words of a line in lower case; empty ones where white space meets. A split at single
+    spaces takes no regular expression, and few lines need one."""
+    other = F.lit(False)
+    for c in "\t\x0b\x0c\r":
+        other = other | F.contains(line, F.lit(c))
+    return F.when(other, F.split(line, SPACES)).otherwise(F.split(line, " "))
+
 
+def _dense(table: DataFrame, size: int) -> DataFrame:
+    """``table(at, v)`` with places below ``size`` as one row with one array, 0 where none is."""
+    every = table.union(table.sparkSession.range(size).select(F.col("id").alias("at"), F.lit(0).cast("long"))).groupBy("at").agg(F.bit_or("v").alias("v"))
+    return every.agg(F.array_sort(F.collect_list(F.struct("at", "v"))).alias("x")).select(F.col("x.v").alias("a"))
 
-def word_ranks(docs: DataFrame, text: str = "text") -> list[int]:
-    """Rank of each bucket: quarter powers of two of its number of words in all texts."""
-    words = docs.select(F.explode_outer(F.split(ascii_lower(F.col(text)), SPACES)).alias("w")).select(F.pmod(F.xxhash64("w"), F.lit(BUCKETS)).cast("int").alias("b"))
-    ranks = [0] * BUCKETS
-    for b, count in _small_table(words.groupBy("b").count()):  # a row for each bucket at most
-        ranks[b] = min(127, round(4 * math.log2(count + 1)))
-    return ranks
 
+def bucket_count(docs: DataFrame) -> int:
+    """Buckets for an input as large as Spark takes it to be. More tell more words apart,
+    which saves time; results are the same with any number."""
+    size = int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    fit = 1 << max(1, size // BUCKET_BYTES - 1).bit_length()
+    return BUCKETS[0] if size >= 1 << 60 else min(max(fit, BUCKETS[0]), BUCKETS[1])  # unknown sizes are huge
 
-def _small_table(table: DataFrame) -> Iterator[tuple[int, int]]:
-    """Rows of a table of two whole numbers and of a fixed size, the first one a place from 0.
 
-    They come to the driver as one string for each 256 places, as an object for each row
-    takes far more of its memory.
+def word_ranks(docs: DataFrame, buckets: int, text: str = "text") -> DataFrame:
+    """One row: an array with the rank of each bucket, quarter powers of two of its number of
+    words in all texts.
+
+    Capitals that are not ASCII count with their small letters here, which is faster; an
+    order of words is an order whatever they are counted with.
     """
-    place, value = table.columns
-    packed = table.groupBy(F.expr(f"{place} div 256")).agg(F.array_join(F.collect_list(F.concat_ws(":", place, value)), ",").alias("s"))
-    for r in packed.collect():
-        for x in r.s.split(","):
-            at, held = x.split(":")
-            yield int(at), int(held)
-
-
-def coded_lines(docs: DataFrame, ranks: list[int], min_words: int = 1, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """``doc_id, text_key, line, codes``: a line's words as codes, rarest first; null codes
-    if it has fewer than ``min_words`` distinct words. A null text is one empty line."""
-    table = f"cast(split('{','.join(map(str, ranks))}', ',') as array<bigint>)"
-    t = F.coalesce(F.col(text), F.lit(""))
-    d = docs.select(F.col(doc_id).alias("doc_id"), F.xxhash64(t).alias("text_key"), F.posexplode_outer(F.split(ascii_lower(t), "\n")).alias("line", "words"))
-    d = d.withColumn("hashes", F.array_distinct(F.transform(F.array_remove(F.split("words", SPACES), ""), lambda w: F.xxhash64(w))))
-    code = f"h -> shiftleft({table}[cast(pmod(h, {BUCKETS}) as int)], 56) | (h & {(1 << 56) - 1})"
-    return d.select("doc_id", "text_key", "line", F.expr(f"if(size(hashes) >= {min_words}, sort_array(transform(hashes, {code})), null)").alias("codes"))
+    lines = docs.select(F.explode(F.split(F.lower(F.coalesce(F.col(text), F.lit(""))), "\n")).alias("l"))
+    words = lines.select(F.explode(_line_words(F.col("l"))).alias("w"))
+    counts = words.groupBy(F.xxhash64("w").bitwiseAND(F.lit(buckets - 1)).alias("at")).count()
+    rank = F.least(F.lit(127), F.round(4 * F.log2(F.col("count") + 1))).cast("long")
+    dense = _dense(counts.select("at", rank.alias("v")), buckets)
+    return materialize(dense.select(F.col("a").cast("array<tinyint>").alias("a")), "ranks")
 
 
-def _bounds() -> tuple[str, str, str]:
-    """SQL on sizes m and n: prefix length of n, least common words, length filter."""
+def coded_lines(docs: DataFrame, ranks: DataFrame, buckets: int, doc_id: str = "doc_id", text: str = "text", worded: bool = True) -> DataFrame:
+    """``doc_id, text_key, line, codes``: a line's words as codes, rarest first. Lines without
+    a word are left out if ``worded``. A null text is one empty line."""
+    t = F.coalesce(F.col(text), F.lit(""))
+    d = docs.select(F.col(doc_id).alias("doc_id"), F.xxhash64(t).alias("text_key"), F.posexplode(F.split(ascii_lower(t), "\n")).alias("line", "l"))
+    d = d.where(F.col("l").rlike(WORDED)) if worded else d
+    hashes = F.transform(_line_words(F.col("l")), lambda w: F.xxhash64(w))
+    hashes = F.array_distinct(F.array_remove(hashes, F.xxhash64(F.lit(""))))
+    # The table comes as a subquery, which plans show by name; "ranks" is used once, so that
+    # it is put in place and not copied from row to row.
+    d = d.withColumn("ranks", ranks.scalar())
+    # Not null in Spark's eyes, so that sorting works on plain numbers.
+    code = lambda h: F.shiftleft(F.coalesce(F.get("ranks", h.bitwiseAND(F.lit(buckets - 1)).cast("int")), F.lit(0).cast("tinyint")).cast("long"), 56).bitwiseOR(F.shiftrightunsigned(h, 8))
+    return d.select("doc_id", "text_key", "line", F.sort_array(F.transform(hashes, code)).alias("codes"))
+
+
+def _prefix(n: str) -> str:
+    """Words of a set of ``n`` by which it looks for sets of as many or fewer."""
     p, q = SIMILAR
-    prefix = f"n - ({p} * n + {q - 1}) div {q} + 1"
-    common = f"({p} * (m + n) + {p + q - 1}) div {p + q}"
-    length = f"{q} * least(m, n) >= {p} * greatest(m, n)"
-    return prefix, common, length
+    return f"({n} - ({p} * {n} + {q - 1}) div {q} + 1)"
 
 
-def _postings(sets: DataFrame, tokens: str, *more: Column) -> DataFrame:
-    own = ("sig", "n", "bits", "more_bits", "doc_id")
-    return sets.select(*own, "prefix", F.posexplode_outer(F.expr(tokens)).alias("i", "code")).select(*own, "i", "code", *more)
+def _short_prefix(n: str) -> str:
+    """Words of a set of ``n`` by which sets of as many or more find it."""
+    p, q = SIMILAR
+    return f"({n} - ({2 * p} * {n} + {p + q - 1}) div {p + q} + 1)"
 
 
-#: On the columns of two postings with the same code, the one set's as m, j, bits_m: the
-#: filters that need no more of the sets.
-def _may_match() -> str:
-    _, common, length = _bounds()
+def _may_match(x: str, y: str) -> str:
+    """SQL on two postings with the same code: the filters that need no more of the sets.
+
+    The sizes bound the words that they must share, and that how many they may differ in;
+    where they differ, parity bits can."""
+    p, q = SIMILAR
+    m, n = f"abs({x}.n)", f"abs({y}.n)"
+    common = f"(({p} * ({m} + {n}) + {p + q - 1}) div {p + q})"
     return f"""
-      {length} and least(i, j) + 1 + least(n - 1 - i, m - 1 - j) >= {common}
-      and case when least(m, n) > {WIDE} then bit_count(more_bits ^ more_m) + bit_count(bits ^ bits_m ^ more_bits ^ more_m)
-               when greatest(m, n) <= {WIDE} then greatest(bit_count(bits ^ bits_m), bit_count(more_bits ^ more_m))
-               else bit_count(bits ^ bits_m) end <= m + n - 2 * ({common})
+      {q} * least({m}, {n}) >= {p} * greatest({m}, {n})
+      and least({x}.i, {y}.i) + 1 + least({m} - 1 - {x}.i, {n} - 1 - {y}.i) >= {common}
+      and if(least({m}, {n}) > {WIDE}, bit_count({x}.more ^ {y}.more) + bit_count({x}.bits ^ {y}.bits ^ {x}.more ^ {y}.more), bit_count({x}.bits ^ {y}.bits)) <= {m} + {n} - 2 * {common}
     """
 
 
-def _verified(pairs: DataFrame, sets: DataFrame, docs: DataFrame, ranks: list[int], repeated: bool, doc_id: str, text: str) -> DataFrame:
+def _filter_mask(key: Column) -> Column:
+    """Three bits of the filter's word that belongs to a key."""
+    bits = [F.call_function("shiftleft", F.lit(1).cast("long"), F.shiftrightunsigned(key, k).bitwiseAND(F.lit(63)).cast("int")) for k in (15, 21, 27)]
+    return bits[0].bitwiseOR(bits[1]).bitwiseOR(bits[2])
+
+
+def _later(pairs: DataFrame, sets: DataFrame, docs: DataFrame, ranks: DataFrame, buckets: int, doc_id: str, text: str) -> DataFrame:
     """``sig`` of the later set of each pair ``(a, b)`` that is as similar as asked.
 
-    The whole sets come from a second look at the documents that hold them; a Bloom filter
-    of a fixed size keeps the others' texts from moving.
+    The whole sets come from a second look at the documents that hold them; a filter of a
+    fixed size keeps the others' texts from moving.
     """
-    from peakgroups.llm.urls import Level
-
     used = pairs.select(F.col("a").alias("sig")).union(pairs.select(F.col("b").alias("sig"))).distinct()
-    wanted = materialize(sets.join(used, "sig", "left_semi").select("sig", "doc_id", "text_key", "line"), "wanted")
-    holders = wanted.select("doc_id", "text_key").distinct()
-    level = Level(11, 3, 1 << 21, ())
-    places = holders.select(F.explode(F.array(*[level._place(F.col("text_key"), j) for j in range(3)])).alias("p"))
-    filled = places.groupBy(F.floor(F.col("p") / 64).cast("int").alias("w")).agg(F.expr("bit_or(shiftleft(1L, cast(p % 64 as int)))").alias("v"))
-    words = [0] * (level.bits // 64)
-    for w, v in _small_table(filled):  # 32,768 rows at most
-        words[w] = v
-    level = Level(11, 3, level.bits, tuple(words))
+    wanted = materialize(sets.select("sig", "doc_id", "text_key", "line").join(used, "sig", "left_semi"), "wanted")
+    at = F.col("text_key").bitwiseAND(F.lit(FILTER_WORDS - 1))
+    filled = wanted.groupBy(at.alias("at")).agg(F.bit_or(_filter_mask(F.col("text_key"))).alias("v"))
+    table = materialize(_dense(filled, FILTER_WORDS), "filter")
     key = F.xxhash64(F.coalesce(F.col(text), F.lit("")))
-    some = docs.select(F.col(doc_id).alias("_id"), F.col(text).alias("_text"), key.alias("_key")).where(level.holds(F.col("_key")))
+    some = docs.select(F.col(doc_id).alias("_id"), F.col(text).alias("_text"), key.alias("_key"))
+    mask = _filter_mask(F.col("_key"))
+    some = some.where(F.get(table.scalar(), F.col("_key").bitwiseAND(F.lit(FILTER_WORDS - 1)).cast("int")).bitwiseAND(mask) == mask)
     lines = wanted.groupBy("doc_id", "text_key").agg(F.collect_list(F.struct("line", "sig")).alias("lines"))
     held = some.join(lines, F.col("_id").eqNullSafe(F.col("doc_id")) & (F.col("_key") == F.col("text_key")))
     # Two uses of "parts" keep Spark from splitting the text anew for each line.
-    held = held.select("doc_id", "text_key", "lines", F.split("_text", "\n").alias("parts"))
+    held = held.select("lines", F.split("_text", "\n").alias("parts"))
     chosen = held.select(F.col("lines.sig").alias("sigs"), F.expr("if(size(parts) > 0, array_join(transform(lines, x -> parts[x.line]), '\n'), '')").alias("_text"))
-    codes = coded_lines(chosen, ranks, 1, "sigs", "_text").select(F.get("doc_id", F.col("line")).alias("sig"), "codes")
-    codes = codes.dropDuplicates(["sig"]) if repeated else codes
-    place = sets.select("sig", F.struct("doc_id", "text_key", "line").alias("place"))
+    codes = coded_lines(chosen, ranks, buckets, "sigs", "_text", worded=False).select(F.get("doc_id", F.col("line")).alias("sig"), "codes")
+    # Rows that repeat id and text hold the same lines.
+    codes = codes.groupBy("sig").agg(F.first("codes").alias("codes"))
+    place = wanted.select("sig", F.struct("doc_id", "text_key", "line").alias("place"))
     codes = materialize(codes.join(place, "sig"), "codes")
     a = codes.select(F.col("sig").alias("a"), F.col("codes").alias("ca"), F.col("place").alias("pa"))
     b = codes.select(F.col("sig").alias("b"), F.col("codes").alias("cb"), F.col("place").alias("pb"))
     p, q = SIMILAR
     same = F.expr(f"{p + q} * size(array_intersect(ca, cb)) >= {p} * (size(ca) + size(cb))")
-    collect_garbage(docs.sparkSession)
     found = pairs.join(a, "a").join(b, "b").where(same).select(F.when(F.col("pa") < F.col("pb"), F.col("b")).otherwise(F.col("a")).alias("sig"))
-    return found.distinct()
+    found = materialize(found.distinct(), "later")
+    for t in (wanted, table, codes):
+        release(t)
+    return found
+
 
+def _sets(docs: DataFrame, ranks: DataFrame, buckets: int, doc_id: str, text: str) -> DataFrame:
+    """Distinct sets of words with their first place: ``sig, doc_id, text_key, line, n, bits,
+    more, prefix``; the last three only of sets that can match others than equals.
 
-def kept_lines(docs: DataFrame, min_words: int = 1, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    For each of 64 bits the parity of the words that fall on it: sets differ in at least as
+    many words as bits. Of longer lines also of half of the words, which makes 128 bits.
+    """
+    parity = "aggregate(codes, 0L, (a, c) -> a ^ shiftleft(1L, cast(c & 63 as int)))"
+    half = "aggregate(codes, 0L, (a, c) -> if(c & 64 = 0, a, a ^ shiftleft(1L, cast(c & 63 as int))))"
+    coded = coded_lines(docs, ranks, buckets, doc_id, text).withColumn("n", F.size("codes"))
+    own = [F.expr(f"if(n {over}, {x}, null)").alias(c) for c, over, x in (("bits", f">= {SMALLEST}", parity), ("more", f"> {WIDE}", half), ("prefix", f">= {SMALLEST}", f"slice(codes, 1, {_prefix('n')})"))]
+    coded = coded.select("doc_id", "text_key", "line", "n", F.xxhash64("codes").alias("sig"), *own)
+    first = F.min(F.struct("doc_id", "text_key", "line", "n", "bits", "more", "prefix")).alias("x")
+    return materialize(coded.groupBy("sig").agg(first).select("sig", "x.*"), "sets")
+
+
+def _lead_pairs(sets: DataFrame) -> DataFrame:
+    """Each set with a fixed number of first ones of some of its frequent words: linear, and
+    settles most that can go of a large group of near copies. Of a prefix the last words are
+    the ones that near copies share; the first are those by which they differ."""
+    codes = F.posexplode(F.expr(f"slice(prefix, greatest(size(prefix) - {LEAD - 1}, 1), {LEAD})")).alias("i", "code")
+    lead = sets.where(f"n >= {SMALLEST}").select("sig", "n", "bits", "more", "doc_id", codes).where(F.col("code") >= F.lit(HOT << 56))
+    lead = materialize(lead.withColumn("i", F.expr(f"i + greatest({_prefix('n')} - {LEAD}, 0)")), "lead")
+    first = F.min(F.struct("doc_id", "sig", "n", "i", "bits", "more")).alias("x")
+    leaders = lead.groupBy("code", F.expr(f"pmod(sig, {LEADERS})").alias("class")).agg(first, F.count(F.lit(1)).alias("c"))
+    leaders = leaders.groupBy("code").agg(F.collect_list("x").alias("xs"), F.sum("c").alias("c")).where("c > 1").select("code", F.inline("xs"))
+    near = lead.alias("x").join(leaders.alias("y"), F.expr(f"x.code = y.code and x.sig <> y.sig and {_may_match('x', 'y')}"))
+    pairs = materialize(near.select(F.expr("least(x.sig, y.sig)").alias("a"), F.expr("greatest(x.sig, y.sig)").alias("b")).distinct(), "lead-pairs")
+    release(lead)
+    return pairs
+
+
+def _pairs(sets: DataFrame) -> DataFrame:
+    """``(a, b)``: all pairs of sets that pass the filters, but those whose later set is gone.
+
+    A set looks for those of as many words or fewer. ``n`` is negative if the set is gone.
+    """
+    own = ("sig", F.expr("if(gone, -n, n)").alias("n"), "bits", "more", "doc_id")
+    some = sets.where(f"n >= {SMALLEST}")
+    kept = some.select(*own, F.posexplode(F.expr(f"slice(prefix, 1, {_short_prefix('n')})")).alias("i", "code")).alias("y")
+    looking = some.select(*own, F.posexplode("prefix").alias("i", "code")).alias("x")
+    # Of sets of one size the one looks for the other once; the later one has to be there still.
+    once = "(abs(y.n) < abs(x.n) or abs(y.n) = abs(x.n) and y.sig < x.sig)"
+    there = "(x.n > 0 and (y.n > 0 or coalesce(y.doc_id <= x.doc_id, true)) or y.n > 0 and coalesce(x.doc_id <= y.doc_id, true))"
+    near = looking.join(kept, F.expr(f"x.code = y.code and {once} and {there} and {_may_match('x', 'y')}"))
+    return near.select(F.expr("least(x.sig, y.sig)").alias("a"), F.expr("greatest(x.sig, y.sig)").alias("b")).distinct()
+
+
+def kept_lines(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """``doc_id, text_key, copies, n_lines, n_eligible, kept``: rows with equal id and text
     are one with ``copies``; ``kept`` are the eligible lines (from 0) that stay. Eligible are
-    lines of ``min_words`` distinct words or more, by default all that have a word. Of fewer
-    than ``SMALLEST`` words a line matches only equal sets, which grouping by ``sig`` finds.
+    all lines that have a word. Of fewer than ``SMALLEST`` words a line matches only equal
+    sets, which grouping by ``sig`` finds.
 
     Equal lines of rows that repeat id and text stand at the same place, so all stay or go
-    together. Null ids come first in order.
+    together. Null ids come first in order; a null text is one line without words. Extra
+    columns are not returned.
     """
-    ranks = word_ranks(docs, text)
-    prefix, _, _ = _bounds()
-    coded = coded_lines(docs, ranks, min_words, doc_id, text).withColumn("n", F.size("codes"))
-    parity = "aggregate(codes, 0L, (a, c) -> a ^ shiftleft(1L, cast(c & 63 as int)))"
-    # For each of 64 bits the parity of the words that fall on it: sets differ in at least as
-    # many words as bits. Of longer lines also of half of the words, which makes 128 bits; of
-    # shorter ones of all words once more, by other digits of their codes.
-    more = f"""aggregate(codes, 0L, (a, c) -> case when n <= {WIDE} then a ^ shiftleft(1L, cast(shiftright(c, 7) & 63 as int))
-                                            when c & 64 = 0 then a else a ^ shiftleft(1L, cast(c & 63 as int)) end)"""
-    table = coded.select("doc_id", "text_key", "line", "n", F.xxhash64("codes").alias("sig"), *[F.expr(f"if(n >= {SMALLEST}, {x}, null)").alias(c) for c, x in (("bits", parity), ("more_bits", more), ("prefix", f"slice(codes, 1, {prefix})"))])
-    lines = materialize(table, "lines")
-    per_doc = lines.groupBy("doc_id", "text_key").agg(F.count_if(F.expr("line = 0")).alias("copies"), F.count(F.lit(1)).alias("all"), F.count_if(F.expr("n > 0")).alias("eligible"))
-    per_doc = materialize(per_doc, "per-doc")
-    repeated = per_doc.where("copies > 1").limit(1).count() > 0
-    first = F.min(F.struct("doc_id", "text_key", "line", "n", "bits", "more_bits", "prefix")).alias("x")
-    sets = materialize(lines.where("n > 0").groupBy("sig").agg(first).select("sig", "x.*"), "sets")
-    release(lines)
-
-    # Each set with a fixed number of first ones of some of its words: linear, and settles
-    # most that can go of a large group of near copies. Of a prefix the last words are the
-    # ones that near copies share; the first are those by which they differ.
-    compared = f"abs(n) >= {SMALLEST}"
-    lead = _postings(sets.where(compared), f"slice(prefix, greatest(size(prefix) - {LEAD - 1}, 1), {LEAD})").withColumn("i", F.expr(f"i + greatest({prefix} - {LEAD}, 0)"))
-    leaders = lead.groupBy("code", F.expr(f"pmod(sig, {LEADERS})")).agg(F.min(F.struct("doc_id", "sig", "n", "i", "bits", "more_bits")).alias("x"), F.count(F.lit(1)).alias("c"))
-    leaders = leaders.groupBy("code").agg(F.collect_list("x").alias("xs"), F.sum("c").alias("c")).where("c > 1").select("code", F.inline("xs"))
-    leaders = materialize(leaders.select("code", F.col("sig").alias("other"), F.col("n").alias("m"), F.col("i").alias("j"), F.col("bits").alias("bits_m"), F.col("more_bits").alias("more_m")), "leaders")
-    near = lead.join(leaders, "code").where(f"sig <> other and {_may_match()}").select(F.least("sig", "other").alias("a"), F.greatest("sig", "other").alias("b"))
-    pairs = materialize(near.distinct(), "lead-pairs")
-    gone = materialize(_verified(pairs, sets, docs, ranks, repeated, doc_id, text), "gone")
-
-    # Each set that is still there with all that share one of its rarest words.
-    flagged = sets.join(gone.withColumn("gone", F.lit(True)), "sig", "left").withColumn("gone", F.coalesce("gone", F.lit(False)))
-    flagged = materialize(flagged.select("sig", "n", "bits", "more_bits", "doc_id", "text_key", "line", "prefix", "gone"), "flagged")
-    release(sets)
-    # Both sides are one exchange, as neither has a condition or a column of its own: sets
-    # that are gone have their size negated, and the length filter fails for these on the
-    # side that looks for an earlier match. Of words that two sets share one after another
-    # only the first counts.
-    x, y = (_postings(flagged.withColumn("n", F.expr("if(gone, -n, n)")).drop("gone").where(compared), "prefix", F.get("prefix", F.col("i") - 1).alias("prior")).alias(side) for side in "xy")
-    size = {"n": "x.n", "m": "abs(y.n)", "i": "x.i", "j": "y.i", "bits": "x.bits", "bits_m": "y.bits", "more_bits": "x.more_bits", "more_m": "y.more_bits"}
-    match = re.sub(r"\b(bits_m|more_m|more_bits|bits|n|m|i|j)\b", lambda w: size[w[0]], _may_match())
-    near = x.join(y, F.expr(f"x.code = y.code and x.sig <> y.sig and coalesce(y.doc_id <= x.doc_id, true) and coalesce(x.prior <> y.prior, true) and {match}"))
-    near = near.select(F.expr("least(x.sig, y.sig)").alias("a"), F.expr("greatest(x.sig, y.sig)").alias("b"))
-    rest = materialize(near.distinct().join(pairs, ["a", "b"], "left_anti"), "pairs")
+    buckets = bucket_count(docs)
+    ranks = word_ranks(docs, buckets, text)
+    sets = _sets(docs, ranks, buckets, doc_id, text)
+    pairs = _lead_pairs(sets)
+    some = pairs.limit(1).count() > 0
+    gone = _later(pairs, sets, docs, ranks, buckets, doc_id, text).withColumn("gone", F.lit(True)) if some else None
+    flagged = sets.join(gone, "sig", "left").withColumn("gone", F.coalesce("gone", F.lit(False))) if some else sets.withColumn("gone", F.lit(False))
+    flagged = materialize(flagged, "flagged") if some else flagged
+    rest = _pairs(flagged)
+    rest = materialize(rest.join(pairs, ["a", "b"], "left_anti") if some else rest, "pairs")
     collect_garbage(docs.sparkSession)
-    more = materialize(_verified(rest, flagged, docs, ranks, repeated, doc_id, text), "more")
+    more = _later(rest, flagged, docs, ranks, buckets, doc_id, text)
     stay = flagged.where("not gone").join(more, "sig", "left_anti").groupBy("doc_id", "text_key").agg(F.sort_array(F.collect_list("line")).alias("kept"))
-    s = stay.select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"), "kept")
-    out = per_doc.join(s, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("text_key") == F.col("_key")), "left")
-    return out.select("doc_id", "text_key", "copies", F.expr("`all` div copies").alias("n_lines"), F.expr("eligible div copies").alias("n_eligible"), F.coalesce("kept", F.expr("cast(array() as array<int>)")).alias("kept"))
-
-
-def dedup_lines(docs: DataFrame, min_words: int = 1, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """``docs`` without the lines that match an earlier one; all rows and columns stay."""
-    changed = kept_lines(docs, min_words, doc_id, text).where("size(kept) < n_eligible")
+    stay = materialize(stay.select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"), "kept"), "stay")
+    for t in (ranks, pairs, rest, more, sets, *([gone, flagged] if some else [])):
+        release(t)
+    lines = F.split(F.coalesce(F.col(text), F.lit("")), "\n")
+    each = docs.select(F.col(doc_id).alias("doc_id"), F.xxhash64(F.coalesce(F.col(text), F.lit(""))).alias("text_key"), lines.alias("lines"))
+    each = each.select("doc_id", "text_key", F.size("lines").cast("long").alias("n_lines"), F.size(F.filter("lines", lambda x: x.rlike(WORDED))).cast("long").alias("n_eligible"))
+    per_doc = each.groupBy("doc_id", "text_key").agg(F.count(F.lit(1)).alias("copies"), F.max("n_lines").alias("n_lines"), F.max("n_eligible").alias("n_eligible"))
+    out = per_doc.join(stay, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("text_key") == F.col("_key")), "left")
+    return out.select("doc_id", "text_key", "copies", "n_lines", "n_eligible", F.coalesce("kept", F.expr("cast(array() as array<int>)")).alias("kept"))
+
+
+def dedup_lines(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """``docs`` without the lines that match an earlier one; all rows and columns stay.
+
+    Lines without a word stay; a null text stays null."""
+    changed = kept_lines(docs, doc_id, text).where("size(kept) < n_eligible")
     changed = materialize(changed.select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"), F.col("kept").alias("_kept")), "changed")
     on = docs[doc_id].eqNullSafe(F.col("_id")) & (F.xxhash64(F.coalesce(docs[text], F.lit(""))) == F.col("_key"))
     joined = docs.join(changed, on, "left")
-    few = lambda line: F.size(F.array_distinct(F.array_remove(F.split(ascii_lower(line), SPACES), ""))) < min_words
-    cut = F.array_join(F.filter(F.split(text, "\n"), lambda line, i: F.array_contains("_kept", i) | few(line)), "\n")
+    cut = F.array_join(F.filter(F.split(text, "\n"), lambda line, i: F.array_contains("_kept", i) | ~line.rlike(WORDED)), "\n")
     return joined.select(*[F.when(F.col("_kept").isNull(), F.col(text)).otherwise(cut).alias(text) if c == text else docs[c] for c in docs.columns])
 
 
-def op3_line_dedup(spark, sf_dir, min_words: int = MIN_WORDS):
-    """Per document: its lines, those long enough to compare, those removed, and which stay.
-
-    Which are long enough is as OP3_SQL says; op3_every_line compares all that have a word.
-    """
-    found = kept_lines(spark.read.parquet(f"{sf_dir}/documents.parquet"), min_words)
+def op3_line_dedup(spark, sf_dir):
+    """Per document: its lines, those that have a word, those removed, and which stay."""
+    found = kept_lines(spark.read.parquet(f"{sf_dir}/documents.parquet"))
     return found.select(
         F.explode(F.array_repeat(F.lit(1), F.col("copies").cast("int"))).alias("copy"),
         "doc_id", "n_lines", "n_eligible", (F.col("n_eligible") - F.size("kept")).alias("n_removed"),
@@ -218,18 +267,13 @@ def op3_line_dedup(spark, sf_dir, min_words: int = MIN_WORDS):
     ).drop("copy")
 
 
-def op3_every_line(spark, sf_dir):
-    """:func:`op3_line_dedup` of all lines with a word."""
-    return op3_line_dedup(spark, sf_dir, 1)
-
-
 _P, _Q = SIMILAR
 OP3_SQL = rf"""
 with lines as (
   select doc_id, cast(i - 1 as int) as line, list_sort(list_distinct(list_filter(string_split_regex(ls[i], '{SPACES}'), lambda x: x <> ''))) as ws
   from (select doc_id, ls, unnest(range(1, len(ls) + 1)) as i
         from (select doc_id, string_split(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), chr(10)) as ls from documents))
-), e as (select *, array_to_string(ws, ' ') as k from lines where len(ws) >= {MIN_WORDS}),
+), e as (select *, array_to_string(ws, ' ') as k from lines where len(ws) >= 1),
 sets as (select k, min((doc_id, line)) as place, any_value(ws) as ws from e group by k),
 words as (select k, len(ws) as n, unnest(ws) as w from sets),
 df as (select w, count(*) as c from words group by w),
@@ -240,10 +284,8 @@ gone as (
   select distinct y as k from pairs join sets a on a.k = x join sets b on b.k = y
   where a.place < b.place and {_P + _Q} * len(list_intersect(a.ws, b.ws)) >= {_P} * (len(a.ws) + len(b.ws))
 ), stay as (select e.doc_id, e.line from e join sets using (k) where place = (doc_id, line) and k not in (select k from gone))
-select doc_id, count(*) as n_lines, count(*) filter (where len(ws) >= {MIN_WORDS}) as n_eligible,
-       count(*) filter (where len(ws) >= {MIN_WORDS}) - count(stay.line) as n_removed,
+select doc_id, count(*) as n_lines, count(*) filter (where len(ws) >= 1) as n_eligible,
+       count(*) filter (where len(ws) >= 1) - count(stay.line) as n_removed,
        coalesce(string_agg(cast(stay.line as varchar), ',' order by stay.line), '') as kept_lines
 from lines left join stay using (doc_id, line) group by doc_id
 """
-#: The same without the bound.
-OP3_EVERY_SQL = OP3_SQL.replace(f"len(ws) >= {MIN_WORDS}", "len(ws) >= 1")
