@@ -127,7 +127,7 @@ def _filter_mask(key: Column) -> Column:
     return bits[0].bitwiseOR(bits[1]).bitwiseOR(bits[2])
 
 
-def _later(pairs: DataFrame, sets: DataFrame, docs: DataFrame, ranks: DataFrame, buckets: int, doc_id: str, text: str) -> DataFrame:
+def _later(pairs: DataFrame, sets: DataFrame, docs: DataFrame, ranks: DataFrame, buckets: int, repeated: bool, doc_id: str, text: str) -> DataFrame:
     """``sig`` of the later set of each pair ``(a, b)`` that is as similar as asked.
 
     The whole sets come from a second look at the documents that hold them; a filter of a
@@ -149,7 +149,7 @@ def _later(pairs: DataFrame, sets: DataFrame, docs: DataFrame, ranks: DataFrame,
     chosen = held.select(F.col("lines.sig").alias("sigs"), F.expr("if(size(parts) > 0, array_join(transform(lines, x -> parts[x.line]), '\n'), '')").alias("_text"))
     codes = coded_lines(chosen, ranks, buckets, "sigs", "_text", worded=False).select(F.get("doc_id", F.col("line")).alias("sig"), "codes")
     # Rows that repeat id and text hold the same lines.
-    codes = codes.groupBy("sig").agg(F.first("codes").alias("codes"))
+    codes = codes.groupBy("sig").agg(F.first("codes").alias("codes")) if repeated else codes
     place = wanted.select("sig", F.struct("doc_id", "text_key", "line").alias("place"))
     codes = materialize(codes.join(place, "sig"), "codes")
     a = codes.select(F.col("sig").alias("a"), F.col("codes").alias("ca"), F.col("place").alias("pa"))
@@ -221,26 +221,27 @@ def kept_lines(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> D
     together. Null ids come first in order; a null text is one line without words. Extra
     columns are not returned.
     """
+    lines = F.split(F.coalesce(F.col(text), F.lit("")), "\n")
+    each = docs.select(F.col(doc_id).alias("doc_id"), F.xxhash64(F.coalesce(F.col(text), F.lit(""))).alias("text_key"), lines.alias("lines"))
+    each = each.select("doc_id", "text_key", F.size("lines").cast("long").alias("n_lines"), F.size(F.filter("lines", lambda x: x.rlike(WORDED))).cast("long").alias("n_eligible"))
+    per_doc = materialize(each.groupBy("doc_id", "text_key").agg(F.count(F.lit(1)).alias("copies"), F.max("n_lines").alias("n_lines"), F.max("n_eligible").alias("n_eligible")), "per-doc")
+    repeated = per_doc.where("copies > 1").limit(1).count() > 0
     buckets = bucket_count(docs)
     ranks = word_ranks(docs, buckets, text)
     sets = _sets(docs, ranks, buckets, doc_id, text)
     pairs = _lead_pairs(sets)
     some = pairs.limit(1).count() > 0
-    gone = _later(pairs, sets, docs, ranks, buckets, doc_id, text).withColumn("gone", F.lit(True)) if some else None
+    gone = _later(pairs, sets, docs, ranks, buckets, repeated, doc_id, text).withColumn("gone", F.lit(True)) if some else None
     flagged = sets.join(gone, "sig", "left").withColumn("gone", F.coalesce("gone", F.lit(False))) if some else sets.withColumn("gone", F.lit(False))
     flagged = materialize(flagged, "flagged") if some else flagged
     rest = _pairs(flagged)
     rest = materialize(rest.join(pairs, ["a", "b"], "left_anti") if some else rest, "pairs")
     collect_garbage(docs.sparkSession)
-    more = _later(rest, flagged, docs, ranks, buckets, doc_id, text)
+    more = _later(rest, flagged, docs, ranks, buckets, repeated, doc_id, text)
     stay = flagged.where("not gone").join(more, "sig", "left_anti").groupBy("doc_id", "text_key").agg(F.sort_array(F.collect_list("line")).alias("kept"))
     stay = materialize(stay.select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"), "kept"), "stay")
     for t in (ranks, pairs, rest, more, sets, *([gone, flagged] if some else [])):
         release(t)
-    lines = F.split(F.coalesce(F.col(text), F.lit("")), "\n")
-    each = docs.select(F.col(doc_id).alias("doc_id"), F.xxhash64(F.coalesce(F.col(text), F.lit(""))).alias("text_key"), lines.alias("lines"))
-    each = each.select("doc_id", "text_key", F.size("lines").cast("long").alias("n_lines"), F.size(F.filter("lines", lambda x: x.rlike(WORDED))).cast("long").alias("n_eligible"))
-    per_doc = each.groupBy("doc_id", "text_key").agg(F.count(F.lit(1)).alias("copies"), F.max("n_lines").alias("n_lines"), F.max("n_eligible").alias("n_eligible"))
     out = per_doc.join(stay, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("text_key") == F.col("_key")), "left")
     return out.select("doc_id", "text_key", "copies", "n_lines", "n_eligible", F.coalesce("kept", F.expr("cast(array() as array<int>)")).alias("kept"))
 
