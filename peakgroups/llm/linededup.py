@@ -27,15 +27,17 @@ SIMILAR = (4, 5)
 SMALLEST = -(-SIMILAR[0] // (SIMILAR[1] - SIMILAR[0]))
 #: Bytes of input for each bucket of the word counts, a power of two between the bounds; a
 #: bucket's rank is the first byte of its words' codes.
-BUCKET_BYTES, BUCKETS = 4096, (1 << 16, 1 << 22)
+BUCKET_BYTES, BUCKETS = 4096, (1 << 16, 1 << 20)
 #: Rank from which a word stands in 1,024 places or more. Of these words, the last ``LEAD`` of a
 #: line's prefix are compared with the first lines of each: ``LEADERS`` classes of hashes have
 #: one. Of rarer words a line meets fewer than 1,024 others anyway.
 HOT, LEAD, LEADERS = 40, 4, 8
+#: Numbers of sets up to which a table of them is broadcast; a larger one is joined and written.
+BROADCAST_SETS = 200_000
 #: What a line with a word matches.
 WORDED = r"[^\x20\x09-\x0D]"
 #: Words beyond which a line has 128 parity bits.
-WIDE = 40
+WIDE = 80
 #: Words of 64 bits of the filter over texts, a table of fixed size.
 FILTER_WORDS = 1 << 15
 
@@ -65,7 +67,7 @@ def bucket_count(docs: DataFrame) -> int:
 
 def word_ranks(docs: DataFrame, buckets: int, text: str = "text") -> DataFrame:
     """One row: an array with the rank of each bucket, quarter powers of two of its number of
-    words in all texts.
+    words in all texts, in the place that a code has it.
 
     Capitals that are not ASCII count with their small letters here, which is faster; an
     order of words is an order whatever they are counted with.
@@ -74,8 +76,7 @@ def word_ranks(docs: DataFrame, buckets: int, text: str = "text") -> DataFrame:
     words = lines.select(F.explode(_line_words(F.col("l"))).alias("w"))
     counts = words.groupBy(F.xxhash64("w").bitwiseAND(F.lit(buckets - 1)).alias("at")).count()
     rank = F.least(F.lit(127), F.round(4 * F.log2(F.col("count") + 1))).cast("long")
-    dense = _dense(counts.select("at", rank.alias("v")), buckets)
-    return materialize(dense.select(F.col("a").cast("array<tinyint>").alias("a")), "ranks")
+    return materialize(_dense(counts.select("at", F.shiftleft(rank, 56).alias("v")), buckets), "ranks")
 
 
 def coded_lines(docs: DataFrame, ranks: DataFrame, buckets: int, doc_id: str = "doc_id", text: str = "text", worded: bool = True) -> DataFrame:
@@ -90,7 +91,7 @@ def coded_lines(docs: DataFrame, ranks: DataFrame, buckets: int, doc_id: str = "
     # it is put in place and not copied from row to row.
     d = d.withColumn("ranks", ranks.scalar())
     # Not null in Spark's eyes, so that sorting works on plain numbers.
-    code = lambda h: F.shiftleft(F.coalesce(F.get("ranks", h.bitwiseAND(F.lit(buckets - 1)).cast("int")), F.lit(0).cast("tinyint")).cast("long"), 56).bitwiseOR(F.shiftrightunsigned(h, 8))
+    code = lambda h: F.coalesce(F.col("ranks")[h.bitwiseAND(F.lit(buckets - 1))], F.lit(0).cast("long")).bitwiseOR(F.shiftrightunsigned(h, 8))
     return d.select("doc_id", "text_key", "line", F.sort_array(F.transform(hashes, code)).alias("codes"))
 
 
@@ -128,13 +129,13 @@ def _filter_mask(key: Column) -> Column:
 
 
 def _later(pairs: DataFrame, sets: DataFrame, docs: DataFrame, ranks: DataFrame, buckets: int, repeated: bool, doc_id: str, text: str) -> DataFrame:
-    """``sig`` of the later set of each pair ``(a, b)`` that is as similar as asked.
+    """``set`` of the later set of each pair ``(a, b)`` that is as similar as asked.
 
     The whole sets come from a second look at the documents that hold them; a filter of a
     fixed size keeps the others' texts from moving.
     """
-    used = pairs.select(F.col("a").alias("sig")).union(pairs.select(F.col("b").alias("sig"))).distinct()
-    wanted = materialize(sets.select("sig", "doc_id", "text_key", "line").join(used, "sig", "left_semi"), "wanted")
+    used = pairs.select(F.col("a").alias("set")).union(pairs.select(F.col("b").alias("set"))).distinct()
+    wanted = materialize(sets.select("set", "doc_id", "text_key", "line").join(used, "set", "left_semi"), "wanted")
     at = F.col("text_key").bitwiseAND(F.lit(FILTER_WORDS - 1))
     filled = wanted.groupBy(at.alias("at")).agg(F.bit_or(_filter_mask(F.col("text_key"))).alias("v"))
     table = materialize(_dense(filled, FILTER_WORDS), "filter")
@@ -142,21 +143,21 @@ def _later(pairs: DataFrame, sets: DataFrame, docs: DataFrame, ranks: DataFrame,
     some = docs.select(F.col(doc_id).alias("_id"), F.col(text).alias("_text"), key.alias("_key"))
     mask = _filter_mask(F.col("_key"))
     some = some.where(F.get(table.scalar(), F.col("_key").bitwiseAND(F.lit(FILTER_WORDS - 1)).cast("int")).bitwiseAND(mask) == mask)
-    lines = wanted.groupBy("doc_id", "text_key").agg(F.collect_list(F.struct("line", "sig")).alias("lines"))
+    lines = wanted.groupBy("doc_id", "text_key").agg(F.collect_list(F.struct("line", "set")).alias("lines"))
     held = some.join(lines, F.col("_id").eqNullSafe(F.col("doc_id")) & (F.col("_key") == F.col("text_key")))
     # Two uses of "parts" keep Spark from splitting the text anew for each line.
     held = held.select("lines", F.split("_text", "\n").alias("parts"))
-    chosen = held.select(F.col("lines.sig").alias("sigs"), F.expr("if(size(parts) > 0, array_join(transform(lines, x -> parts[x.line]), '\n'), '')").alias("_text"))
-    codes = coded_lines(chosen, ranks, buckets, "sigs", "_text", worded=False).select(F.get("doc_id", F.col("line")).alias("sig"), "codes")
+    chosen = held.select(F.col("lines.set").alias("owners"), F.expr("if(size(parts) > 0, array_join(transform(lines, x -> parts[x.line]), '\n'), '')").alias("_text"))
+    codes = coded_lines(chosen, ranks, buckets, "owners", "_text", worded=False).select(F.get("doc_id", F.col("line")).alias("set"), "codes")
     # Rows that repeat id and text hold the same lines.
-    codes = codes.groupBy("sig").agg(F.first("codes").alias("codes")) if repeated else codes
-    place = wanted.select("sig", F.struct("doc_id", "text_key", "line").alias("place"))
-    codes = materialize(codes.join(place, "sig"), "codes")
-    a = codes.select(F.col("sig").alias("a"), F.col("codes").alias("ca"), F.col("place").alias("pa"))
-    b = codes.select(F.col("sig").alias("b"), F.col("codes").alias("cb"), F.col("place").alias("pb"))
+    codes = codes.groupBy("set").agg(F.first("codes").alias("codes")) if repeated else codes
+    place = wanted.select("set", F.struct("doc_id", "text_key", "line").alias("place"))
+    codes = materialize(codes.join(place, "set"), "codes")
+    a = codes.select(F.col("set").alias("a"), F.col("codes").alias("ca"), F.col("place").alias("pa"))
+    b = codes.select(F.col("set").alias("b"), F.col("codes").alias("cb"), F.col("place").alias("pb"))
     p, q = SIMILAR
     same = F.expr(f"{p + q} * size(array_intersect(ca, cb)) >= {p} * (size(ca) + size(cb))")
-    found = pairs.join(a, "a").join(b, "b").where(same).select(F.when(F.col("pa") < F.col("pb"), F.col("b")).otherwise(F.col("a")).alias("sig"))
+    found = pairs.join(a, "a").join(b, "b").where(same).select(F.when(F.col("pa") < F.col("pb"), F.col("b")).otherwise(F.col("a")).alias("set"))
     found = materialize(found.distinct(), "later")
     for t in (wanted, table, codes):
         release(t)
@@ -164,19 +165,20 @@ def _later(pairs: DataFrame, sets: DataFrame, docs: DataFrame, ranks: DataFrame,
 
 
 def _sets(docs: DataFrame, ranks: DataFrame, buckets: int, doc_id: str, text: str) -> DataFrame:
-    """Distinct sets of words with their first place: ``sig, doc_id, text_key, line, n, bits,
+    """Distinct sets of words with their first place: ``set, doc_id, text_key, line, n, bits,
     more, prefix``; the last three only of sets that can match others than equals.
 
     For each of 64 bits the parity of the words that fall on it: sets differ in at least as
     many words as bits. Of longer lines also of half of the words, which makes 128 bits.
     """
-    parity = "aggregate(codes, 0L, (a, c) -> a ^ shiftleft(1L, cast(c & 63 as int)))"
-    half = "aggregate(codes, 0L, (a, c) -> if(c & 64 = 0, a, a ^ shiftleft(1L, cast(c & 63 as int))))"
+    one = [1 << k if k < 63 else -(1 << 63) for k in range(64)]
+    parity, half = (f"aggregate(codes, 0L, (a, c) -> a ^ array({', '.join(f'{x + 1}L - 1L' if x < 0 else f'{x}L' for x in t)})[c & {len(t) - 1}])" for t in (one, [0] * 64 + one))
     coded = coded_lines(docs, ranks, buckets, doc_id, text).withColumn("n", F.size("codes"))
     own = [F.expr(f"if(n {over}, {x}, null)").alias(c) for c, over, x in (("bits", f">= {SMALLEST}", parity), ("more", f"> {WIDE}", half), ("prefix", f">= {SMALLEST}", f"slice(codes, 1, {_prefix('n')})"))]
     coded = coded.select("doc_id", "text_key", "line", "n", F.xxhash64("codes").alias("sig"), *own)
     first = F.min(F.struct("doc_id", "text_key", "line", "n", "bits", "more", "prefix")).alias("x")
-    return materialize(coded.groupBy("sig").agg(first).select("sig", "x.*"), "sets")
+    # Numbers instead of hashes, as near ones take less room when they move.
+    return materialize(coded.groupBy("sig").agg(first).select(F.monotonically_increasing_id().alias("set"), "x.*"), "sets")
 
 
 def _lead_pairs(sets: DataFrame) -> DataFrame:
@@ -184,38 +186,38 @@ def _lead_pairs(sets: DataFrame) -> DataFrame:
     settles most that can go of a large group of near copies. Of a prefix the last words are
     the ones that near copies share; the first are those by which they differ."""
     codes = F.posexplode(F.expr(f"slice(prefix, greatest(size(prefix) - {LEAD - 1}, 1), {LEAD})")).alias("i", "code")
-    lead = sets.where(f"n >= {SMALLEST}").select("sig", "n", "bits", "more", "doc_id", codes).where(F.col("code") >= F.lit(HOT << 56))
+    lead = sets.where(f"n >= {SMALLEST}").select("set", "n", "bits", "more", "doc_id", codes).where(F.col("code") >= F.lit(HOT << 56))
     lead = materialize(lead.withColumn("i", F.expr(f"i + greatest({_prefix('n')} - {LEAD}, 0)")), "lead")
-    first = F.min(F.struct("doc_id", "sig", "n", "i", "bits", "more")).alias("x")
-    leaders = lead.groupBy("code", F.expr(f"pmod(sig, {LEADERS})").alias("class")).agg(first, F.count(F.lit(1)).alias("c"))
+    first = F.min(F.struct("doc_id", "set", "n", "i", "bits", "more")).alias("x")
+    leaders = lead.groupBy("code", F.expr(f"pmod(set, {LEADERS})").alias("class")).agg(first, F.count(F.lit(1)).alias("c"))
     leaders = leaders.groupBy("code").agg(F.collect_list("x").alias("xs"), F.sum("c").alias("c")).where("c > 1").select("code", F.inline("xs"))
-    near = lead.alias("x").join(leaders.alias("y"), F.expr(f"x.code = y.code and x.sig <> y.sig and {_may_match('x', 'y')}"))
-    pairs = materialize(near.select(F.expr("least(x.sig, y.sig)").alias("a"), F.expr("greatest(x.sig, y.sig)").alias("b")).distinct(), "lead-pairs")
+    near = lead.alias("x").join(leaders.alias("y"), F.expr(f"x.code = y.code and x.set <> y.set and {_may_match('x', 'y')}"))
+    pairs = materialize(near.select(F.expr("least(x.set, y.set)").alias("a"), F.expr("greatest(x.set, y.set)").alias("b")).distinct(), "lead-pairs")
     release(lead)
     return pairs
 
 
 def _pairs(sets: DataFrame) -> DataFrame:
-    """``(a, b)``: all pairs of sets that pass the filters, but those whose later set is gone.
+    """``(a, b)``: all pairs of sets that pass the filters, but those that are both gone.
 
     A set looks for those of as many words or fewer. ``n`` is negative if the set is gone.
     """
-    own = ("sig", F.expr("if(gone, -n, n)").alias("n"), "bits", "more", "doc_id")
-    some = sets.where(f"n >= {SMALLEST}")
-    kept = some.select(*own, F.posexplode(F.expr(f"slice(prefix, 1, {_short_prefix('n')})")).alias("i", "code")).alias("y")
-    looking = some.select(*own, F.posexplode("prefix").alias("i", "code")).alias("x")
-    # Of sets of one size the one looks for the other once; the later one has to be there still.
-    once = "(abs(y.n) < abs(x.n) or abs(y.n) = abs(x.n) and y.sig < x.sig)"
-    there = "(x.n > 0 and (y.n > 0 or coalesce(y.doc_id <= x.doc_id, true)) or y.n > 0 and coalesce(x.doc_id <= y.doc_id, true))"
-    near = looking.join(kept, F.expr(f"x.code = y.code and {once} and {there} and {_may_match('x', 'y')}"))
-    return near.select(F.expr("least(x.sig, y.sig)").alias("a"), F.expr("greatest(x.sig, y.sig)").alias("b")).distinct()
+    some = sets.where(f"n >= {SMALLEST}").select("set", F.expr("if(gone, -n, n)").alias("n"), "bits", "more", "prefix")
+    # Of a code 40 bits move: two words on one key only cost time.
+    key = F.col("code").bitwiseAND(F.lit((1 << 40) - 1)).alias("key")
+    posted = lambda words: some.select("set", "n", "bits", "more", F.posexplode(F.expr(words)).alias("i", "code")).select("set", "n", "i", "bits", "more", key)
+    looking, kept = posted("prefix").alias("x"), posted(f"slice(prefix, 1, {_short_prefix('abs(n)')})").alias("y")
+    # Of sets of one size the one looks for the other once.
+    once = "(abs(y.n) < abs(x.n) or abs(y.n) = abs(x.n) and y.set < x.set)"
+    near = looking.join(kept, F.expr(f"x.key = y.key and {once} and (x.n > 0 or y.n > 0) and {_may_match('x', 'y')}"))
+    return near.select(F.expr("least(x.set, y.set)").alias("a"), F.expr("greatest(x.set, y.set)").alias("b")).distinct()
 
 
 def kept_lines(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """``doc_id, text_key, copies, n_lines, n_eligible, kept``: rows with equal id and text
     are one with ``copies``; ``kept`` are the eligible lines (from 0) that stay. Eligible are
     all lines that have a word. Of fewer than ``SMALLEST`` words a line matches only equal
-    sets, which grouping by ``sig`` finds.
+    sets, which grouping finds.
 
     Equal lines of rows that repeat id and text stand at the same place, so all stay or go
     together. Null ids come first in order; a null text is one line without words. Extra
@@ -231,16 +233,21 @@ def kept_lines(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> D
     sets = _sets(docs, ranks, buckets, doc_id, text)
     pairs = _lead_pairs(sets)
     some = pairs.limit(1).count() > 0
-    gone = _later(pairs, sets, docs, ranks, buckets, repeated, doc_id, text).withColumn("gone", F.lit(True)) if some else None
-    flagged = sets.join(gone, "sig", "left").withColumn("gone", F.coalesce("gone", F.lit(False))) if some else sets.withColumn("gone", F.lit(False))
-    flagged = materialize(flagged, "flagged") if some else flagged
+    flagged, small = sets.withColumn("gone", F.lit(False)), True
+    if some:
+        gone = _later(pairs, sets, docs, ranks, buckets, repeated, doc_id, text).withColumn("gone", F.lit(True))
+        small = gone.count() <= BROADCAST_SETS
+        flagged = sets.join(F.broadcast(gone) if small else gone, "set", "left").withColumn("gone", F.coalesce("gone", F.lit(False)))
+    if not small:
+        flagged = materialize(flagged, "flagged")
+        release(sets)
     rest = _pairs(flagged)
     rest = materialize(rest.join(pairs, ["a", "b"], "left_anti") if some else rest, "pairs")
     collect_garbage(docs.sparkSession)
     more = _later(rest, flagged, docs, ranks, buckets, repeated, doc_id, text)
-    stay = flagged.where("not gone").join(more, "sig", "left_anti").groupBy("doc_id", "text_key").agg(F.sort_array(F.collect_list("line")).alias("kept"))
+    stay = flagged.where("not gone").join(more, "set", "left_anti").groupBy("doc_id", "text_key").agg(F.sort_array(F.collect_list("line")).alias("kept"))
     stay = materialize(stay.select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"), "kept"), "stay")
-    for t in (ranks, pairs, rest, more, sets, *([gone, flagged] if some else [])):
+    for t in (ranks, pairs, rest, more, *([gone] if some else []), sets if small else flagged):
         release(t)
     out = per_doc.join(stay, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("text_key") == F.col("_key")), "left")
     return out.select("doc_id", "text_key", "copies", "n_lines", "n_eligible", F.coalesce("kept", F.expr("cast(array() as array<int>)")).alias("kept"))
