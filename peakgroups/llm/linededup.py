@@ -31,7 +31,7 @@ BUCKET_BYTES, BUCKETS = 4096, (1 << 16, 1 << 20)
 #: Rank from which a word stands in 1,024 places or more. Of these words, the last ``LEAD`` of a
 #: line's prefix are compared with the first lines of each: ``LEADERS`` classes of hashes have
 #: one. Of rarer words a line meets fewer than 1,024 others anyway.
-HOT, LEAD, LEADERS = 40, 4, 8
+HOT, LEAD, LEADERS, LIGHT = 40, 4, 8, 16
 #: Numbers of sets up to which a table of them is broadcast; a larger one is joined and written.
 BROADCAST_SETS = 200_000
 #: What a line with a word matches.
@@ -181,10 +181,15 @@ def _sets(docs: DataFrame, ranks: DataFrame, buckets: int, doc_id: str, text: st
     return materialize(coded.groupBy("sig").agg(first).select(F.monotonically_increasing_id().alias("set"), "x.*"), "sets")
 
 
-def _lead_pairs(sets: DataFrame) -> DataFrame:
+def _lead_pairs(sets: DataFrame) -> DataFrame | None:
     """Each set with a fixed number of first ones of some of its frequent words: linear, and
-    settles most that can go of a large group of near copies. Of a prefix the last words are
+    settles most that can go of a large group of near copies. None if comparing all sets that
+    share a frequent word takes no more than ``LIGHT`` comparisons a set. Of a prefix the last words are
     the ones that near copies share; the first are those by which they differ."""
+    frequent = sets.where(f"n >= {SMALLEST}").select(F.explode("prefix").alias("code")).where(F.col("code") >= F.lit(HOT << 56))
+    work = frequent.groupBy("code").count().agg(F.sum(F.col("count").cast("double") * F.col("count"))).first()[0] or 0
+    if work <= LIGHT * sets.count():
+        return None
     codes = F.posexplode(F.expr(f"slice(prefix, greatest(size(prefix) - {LEAD - 1}, 1), {LEAD})")).alias("i", "code")
     lead = sets.where(f"n >= {SMALLEST}").select("set", "n", "bits", "more", "doc_id", codes).where(F.col("code") >= F.lit(HOT << 56))
     lead = materialize(lead.withColumn("i", F.expr(f"i + greatest({_prefix('n')} - {LEAD}, 0)")), "lead")
@@ -203,8 +208,8 @@ def _pairs(sets: DataFrame) -> DataFrame:
     A set looks for those of as many words or fewer. ``n`` is negative if the set is gone.
     """
     some = sets.where(f"n >= {SMALLEST}").select("set", F.expr("if(gone, -n, n)").alias("n"), "bits", "more", "prefix")
-    # Of a code 40 bits move: two words on one key only cost time.
-    key = F.col("code").bitwiseAND(F.lit((1 << 40) - 1)).alias("key")
+    # Of a code 32 bits move: two words on one key only cost time.
+    key = F.col("code").bitwiseAND(F.lit((1 << 32) - 1)).alias("key")
     posted = lambda words: some.select("set", "n", "bits", "more", F.posexplode(F.expr(words)).alias("i", "code")).select("set", "n", "i", "bits", "more", key)
     looking, kept = posted("prefix").alias("x"), posted(f"slice(prefix, 1, {_short_prefix('abs(n)')})").alias("y")
     # Of sets of one size the one looks for the other once.
@@ -232,7 +237,7 @@ def kept_lines(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> D
     ranks = word_ranks(docs, buckets, text)
     sets = _sets(docs, ranks, buckets, doc_id, text)
     pairs = _lead_pairs(sets)
-    some = pairs.limit(1).count() > 0
+    some = pairs is not None and pairs.limit(1).count() > 0
     flagged, small = sets.withColumn("gone", F.lit(False)), True
     if some:
         gone = _later(pairs, sets, docs, ranks, buckets, repeated, doc_id, text).withColumn("gone", F.lit(True))
@@ -241,13 +246,14 @@ def kept_lines(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> D
     if not small:
         flagged = materialize(flagged, "flagged")
         release(sets)
+    collect_garbage(docs.sparkSession)
     rest = _pairs(flagged)
     rest = materialize(rest.join(pairs, ["a", "b"], "left_anti") if some else rest, "pairs")
     collect_garbage(docs.sparkSession)
     more = _later(rest, flagged, docs, ranks, buckets, repeated, doc_id, text)
     stay = flagged.where("not gone").join(more, "set", "left_anti").groupBy("doc_id", "text_key").agg(F.sort_array(F.collect_list("line")).alias("kept"))
     stay = materialize(stay.select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"), "kept"), "stay")
-    for t in (ranks, pairs, rest, more, *([gone] if some else []), sets if small else flagged):
+    for t in (ranks, *([pairs] if pairs else []), rest, more, *([gone] if some else []), sets if small else flagged):
         release(t)
     out = per_doc.join(stay, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("text_key") == F.col("_key")), "left")
     return out.select("doc_id", "text_key", "copies", "n_lines", "n_eligible", F.coalesce("kept", F.expr("cast(array() as array<int>)")).alias("kept"))
