@@ -44,21 +44,35 @@ def run_vectors() -> np.ndarray:
     return (pairs * letters[None, :, :]).reshape(-1, DIMENSIONS)
 
 
+def _symbols_of(text: str) -> np.ndarray:
+    return _symbols()[np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32)].astype(np.int32)
+
+
+def _squeezed(s: np.ndarray) -> np.ndarray:
+    """Symbols with one gap where several stand."""
+    return s[np.concatenate([[True], (s[1:] != 0) | (s[:-1] != 0)])]
+
+
+def _codes(s: np.ndarray) -> np.ndarray:
+    return (s[:-2] * SYMBOLS + s[1:-1]) * SYMBOLS + s[2:]
+
+
 def run_codes(text: str) -> np.ndarray:
     """Codes of a text's runs: letters in lower case, anything between words one gap."""
-    points = np.frombuffer(text.lower().encode("utf-32-le", "surrogatepass"), np.uint32)
-    s = np.concatenate([[0], _symbols()[points], [0]]).astype(np.int32)
-    s = s[np.concatenate([[True], (s[1:] != 0) | (s[:-1] != 0)])]
-    return (s[:-2] * SYMBOLS + s[1:-1]) * SYMBOLS + s[2:]
+    return _codes(_squeezed(np.concatenate([[0], _symbols_of(text.lower()), [0]]).astype(np.int32)))
 
 
 def run_counts(text: str) -> tuple[np.ndarray, np.ndarray]:
     """Distinct codes and counts of a text, chunk by chunk if it is long."""
     if len(text) <= 4000:
         return np.unique(run_codes(text), return_counts=True)
-    total = np.zeros(SYMBOLS**3, np.int64)
+    total, text = np.zeros(SYMBOLS**3, np.int64), text.lower()
+    before = np.zeros(1, np.int32)  # the last two symbols of what came before, so that no run is lost
     for i in range(0, len(text), CHUNK):
-        total += np.bincount(run_codes(text[i : i + CHUNK]), minlength=SYMBOLS**3)
+        s = _squeezed(np.concatenate([before, _symbols_of(text[i : i + CHUNK])]))
+        total += np.bincount(_codes(s), minlength=SYMBOLS**3)
+        before = s[-2:]
+    total += np.bincount(_codes(_squeezed(np.concatenate([before, [0]]))), minlength=SYMBOLS**3)
     codes = np.flatnonzero(total)
     return codes, total[codes]
 

@@ -213,13 +213,51 @@ def test_short_lines_are_compared(spark):
     assert {r.doc_id: r.text for r in linededup.dedup_lines(d).collect()} == {1: rows[0][1], 2: "\nx y w", 3: "e f g h i\nx y z q", 4: ""}
 
 
-def test_every_line_same_as_sql(spark):
+def test_leaders_change_nothing(spark, monkeypatch):
+    """With every word taken for frequent, leaders settle what they can, and both ways to
+    use what they found give the rows of the SQL."""
     con = duckdb.connect()
     con.execute(f"create view documents as select * from '{SF}/documents.parquet'")
     names = ["doc_id", "n_lines", "n_eligible", "n_removed", "kept_lines"]
-    want = con.execute(f"select {', '.join(names)} from ({linededup.OP3_EVERY_SQL})").fetchall()
-    got = [tuple(r) for r in linededup.op3_every_line(spark, SF).select(*names).collect()]
-    assert sorted(got) == sorted(want)
+    want = con.execute(f"select {', '.join(names)} from ({linededup.OP3_SQL})").fetchall()
+    for limit in (0, 10**6):
+        monkeypatch.setattr(linededup, "HOT", 0)
+        monkeypatch.setattr(linededup, "LIGHT", -1)
+        monkeypatch.setattr(linededup, "BROADCAST_SETS", limit)
+        got = [tuple(r) for r in linededup.op3_line_dedup(spark, SF).select(*names).collect()]
+        assert sorted(got) == sorted(want)
+
+
+def test_lines_that_differ_in_a_few_words(spark):
+    """Sets around the limit of similarity, of all sizes, against brute force."""
+    rng = random.Random(9)
+    rows = []
+    for i in range(120):
+        base = rng.sample([f"w{k}" for k in range(400)], rng.choice([3, 4, 5, 6, 9, 20, 45, 90, 130]))
+        for _ in range(3):
+            line = [w for w in base if rng.random() > 0.1] + rng.sample(["x%d" % k for k in range(50)], rng.randrange(0, 1 + len(base) // 8))
+            rng.shuffle(line)
+            rows.append(" ".join(line))
+    rng.shuffle(rows)
+    d = spark.createDataFrame([(i, t) for i, t in enumerate(rows)], "doc_id long, text string")
+    sets = [frozenset(t.split()) for t in rows]
+    want = {i for i, s in enumerate(sets) if s and any(9 * len(s & o) >= 4 * (len(s) + len(o)) for o in sets[:i] if o)}
+    got = {r.doc_id for r in linededup.kept_lines(d).where("size(kept) < n_eligible").collect()}
+    assert got == want and len(want) > 50
+
+
+def test_repeated_rows_and_other_white_space(spark):
+    d = spark.createDataFrame([(1, "a\tb  c d"), (1, "a\tb  c d"), (1, "other text"), (2, "D C\x0bB\x0cA\r"), (None, "a b c d e"), (3, None)], "doc_id long, text string")
+    got = sorted((r.doc_id or 0, r.text or "") for r in linededup.dedup_lines(d).collect())
+    # The null id comes first, and its five words are as similar as asked to the four.
+    assert got == [(0, "a b c d e"), (1, ""), (1, ""), (1, "other text"), (2, ""), (3, "")]
+
+
+def test_long_texts_lose_no_run(monkeypatch):
+    text = "".join(random.Random(4).choice("abc XÉß.  ") for _ in range(9000))
+    whole = language.np.unique(language.run_codes(text), return_counts=True)
+    monkeypatch.setattr(language, "CHUNK", 37)
+    assert all((a == b).all() for a, b in zip(language.run_counts(text), whole))
 
 
 SQL = {
