@@ -15,6 +15,7 @@ from peakgroups.plans import measures, perturb, workloads
 from peakgroups.plans.hierarchy import MutualPeakClusterer
 from peakgroups.schema import Network, Params
 from peakgroups.sources import networks
+from peakgroups.streaming import feeds
 
 #: Hand networks: links (src, dst, weight) and own weights. Fixed values.
 _ONE = {
@@ -208,6 +209,35 @@ _PAIR_SQL = """select lang, source, count(*) as common, round(2.0::double * coun
 (select lang, source, count(*) over (partition by lang) as nl, count(*) over (partition by source) as ns from documents) group by lang, source"""
 
 
+_PASSAGES_SQL = """with d as (select doc_id, string_split_regex(trim(lower(text)), '\\s+') as w from documents),
+b as (select item_id, string_split_regex(trim(lower(text)), '\\s+') as w from benchmark),
+dr as (select doc_id, array_to_string(list_slice(w, i, i + 7), ' ') as run from (select doc_id, w, unnest(range(1, len(w) - 6)) as i from d where len(w) >= 8)),
+br as (select item_id, array_to_string(list_slice(w, i, i + 7), ' ') as run from (select item_id, w, unnest(range(1, len(w) - 6)) as i from b where len(w) >= 8))
+select distinct item_id as cluster, doc_id as node from dr join br using (run)"""
+
+
+def _events(spark, sf_dir):
+    return spark.read.parquet(f"{sf_dir}/events.parquet")
+
+
+def _register_feeds(q: dict, sql: dict) -> None:
+    """What the feeds of streaming/ give for all events at once (S1-S3) and the as-of join."""
+    q["window_activity"] = lambda spark, sf_dir: feeds.window_activity(_events(spark, sf_dir)).select(F.unix_timestamp("start").alias("start"), "user_id", "n")
+    sql["window_activity"] = "select cast(floor(epoch(ts) / 600) as bigint) * 600 as start, user_id, count(*) as n from events group by 1, 2"
+    q["sliding_activity"] = lambda spark, sf_dir: feeds.window_activity(_events(spark, sf_dir), "10 minutes", "5 minutes").select(F.unix_timestamp("start").alias("start"), "user_id", "n")
+    sql["sliding_activity"] = "select (slot - k) * 300 as start, user_id, count(*) as n from (select user_id, cast(floor(epoch(ts) / 300) as bigint) as slot from events), (values (0), (1)) t(k) group by 1, 2"
+    q["session_activity"] = lambda spark, sf_dir: feeds.session_activity(_events(spark, sf_dir)).select(F.unix_micros("start").alias("start"), F.unix_micros("stop").alias("stop"), "user_id", "n")
+    sql["session_activity"] = """with e as (select user_id, ts, case when ts < lag(ts) over (partition by user_id order by ts) + interval 10 minutes then 0 else 1 end as opens from events),
+      s as (select user_id, ts, sum(opens) over (partition by user_id order by ts rows unbounded preceding) as no from e)
+      select epoch_us(min(ts)) as start, epoch_us(max(ts)) + 600000000 as stop, user_id, count(*) as n from s group by user_id, no"""
+    q["activity_links"] = lambda spark, sf_dir: feeds.activity_links(feeds.window_activity(_events(spark, sf_dir)))
+    sql["activity_links"] = "with a as (select distinct cast(floor(epoch(ts) / 600) as bigint) as slot, user_id from events) select x.user_id as src, y.user_id as dst, count(*) as weight from a x join a y on x.slot = y.slot and x.user_id < y.user_id group by 1, 2"
+    q["session_links"] = lambda spark, sf_dir: feeds.session_links(feeds.session_activity(_events(spark, sf_dir)))
+    # Every fifth event's id stands for a membership that holds from then on.
+    q["membership_asof"] = lambda spark, sf_dir: feeds.membership_asof(_events(spark, sf_dir), _events(spark, sf_dir).where("event_id % 5 = 0").selectExpr("user_id", "ts as at", "event_id as cluster"))
+    sql["membership_asof"] = "select event_id, (select max_by(s.event_id, s.ts) from events s where s.event_id % 5 = 0 and s.user_id = e.user_id and s.ts <= e.ts) as cluster from events e"
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every level of the document copy network with input documents and shares."""
     h = MutualPeakClusterer().fit(networks.network(spark, sf_dir, "doc_copies"))
@@ -258,6 +288,7 @@ def _register() -> tuple[dict, dict]:
     for name in (*STEP_NETS, "doc_shingles"):
         q[f"hierarchy_{name}"] = _hierarchy(name)
         q[f"level_report_{name}"] = _report(name)
+    q["hierarchy_without_split_f02"] = _hierarchy("f02", use_split=False)
     q["hierarchy_without_split_high_quantity"] = _hierarchy("high_quantity", use_split=False)
     q["hierarchy_without_narrowing_doc_copies"] = _hierarchy("doc_copies", use_narrowing=False)
     q["hierarchy_leaf_pull_f11"] = _hierarchy("f11", hub_policy="leaf_pull")
@@ -278,8 +309,8 @@ def _register() -> tuple[dict, dict]:
         "core_groups_doc_copies": lambda n: moves.core_groups(n, runs=2),
         "core_groups_iterated_doc_copies": lambda n: moves.core_groups(n, runs=2, iterated=True, rounds=2),
         "fast_consensus_f08": lambda n: moves.fast_consensus(n, 2, rounds=1),
-        "speaker_listener_doc_copies": lambda n: labels.speaker_listener(n, rounds=6),
-        "significance_doc_copies": lambda n: labels.significance_communities(n, rounds=2),
+        "speaker_listener_doc_copies": labels.speaker_listener,
+        "significance_doc_copies": labels.significance_communities,
     }
     for key, run in flat.items():
         q[key] = lambda spark, sf_dir, run=run, name=next(x for x in ("doc_copies", "f08") if key.endswith(x)): run(_net(spark, sf_dir, name)).select("cluster", "node")
@@ -292,8 +323,10 @@ def _register() -> tuple[dict, dict]:
     q["split_admission_grid"] = lambda spark, sf_dir: spark.range(1, 40).selectExpr("id as k").crossJoin(spark.range(1, 40).selectExpr("id as d")).where(formation.split_allowed(F.col("k"), F.col("d")))
     sql["split_admission_grid"] = "select k, d from range(2, 40) a(k), range(2, 40) b(d) where k <= d and k * (d - k) + k * (k - 1) // 2 <= d"
     q["accuracy_planted"] = lambda spark, sf_dir: workloads.run_accuracy({"planted": perturb.planted_network(spark, 500, 12, 40)}, ("mutual_peak", "structural"))
-    q["determinism_high_quantity"] = lambda spark, sf_dir: workloads.run_determinism(_net(spark, sf_dir, "high_quantity"), "mutual_peak", 2).select("run", "value")
-    sql["determinism_high_quantity"] = "select * from (values ('shuffle0', 1.0::double), ('shuffle1', 1.0::double)) t(run, value)"
+    q["determinism_high_quantity"] = lambda spark, sf_dir: workloads.run_determinism(_net(spark, sf_dir, "high_quantity"), "mutual_peak").select("run", "value")
+    q["truth_passages"] = lambda spark, sf_dir: workloads.document_truths(spark, sf_dir)["passages"]
+    sql["truth_passages"] = _PASSAGES_SQL
+    _register_feeds(q, sql)
     return q, sql
 
 

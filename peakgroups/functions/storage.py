@@ -11,9 +11,12 @@ _OWN: dict[str, str] = {}
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The session's spark.checkpoint.dir; where that is unset (tests), a folder of our own."""
+    """The session's spark.checkpoint.dir; where that is unset and all runs on one machine
+    (tests), a folder of our own. On a cluster executors would not see it: an error."""
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if not folder:
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         folder = _OWN.setdefault("dir", "file://" + tempfile.mkdtemp(prefix="peakgroups-"))
     return folder.rstrip("/")
 

@@ -14,8 +14,10 @@ def load_network(df: DataFrame, src: str = "src", dst: str = "dst", weight: str
 
     ``form``: ``undirected`` and ``arcs`` add up what runs between two nodes;
     ``both_arcs`` says that each link is given in both directions, and halves.
-    ``scale`` multiplies weights before they are made integers. Rows with a null end or
-    weight, and zero weights, are left out; negative weights and NaN raise an error.
+    ``scale`` multiplies weights before they are made integers; with a scale of 1 a weight
+    that is no whole number raises an error, as rounding would change or lose links. Rows
+    with a null end or weight, and zero weights, are left out; negative weights and NaN
+    raise an error.
     A link of a node to itself is the node's own weight. ``node_weights(node,
     self_weight)`` adds to it and may name nodes without links.
     """
@@ -23,7 +25,8 @@ def load_network(df: DataFrame, src: str = "src", dst: str = "dst", weight: str
         raise ValueError(f"unknown form {form!r}")
     value = F.col(weight) * F.lit(scale) if weight else F.lit(scale)
     bad = F.isnan(value.cast("double")) | (value < 0)
-    exact = F.when(bad, F.raise_error(F.lit("weights are neither negative nor NaN"))).otherwise(F.round(value)).cast(WEIGHT)
+    part = (value != F.round(value)) if scale == 1 else F.lit(False)
+    exact = F.when(bad, F.raise_error(F.lit("weights are neither negative nor NaN"))).when(part, F.raise_error(F.lit("weights are not whole; choose a scale"))).otherwise(F.round(value)).cast(WEIGHT)
     rows = df.select(F.col(src).cast("long").alias("a"), F.col(dst).cast("long").alias("b"), exact.alias("w")).where("a is not null and b is not null and w is not null and w <> 0")
     folded = rows.groupBy(F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst")).agg(F.sum("w").cast(WEIGHT).alias("weight"))
     if form == "both_arcs":
@@ -82,6 +85,17 @@ def doc_network_sql(least: int, dialect: str) -> str:
     return f"select a.doc_id as src, b.doc_id as dst, count(*) as weight from (select s, doc_id from shared) a join (select s, doc_id from shared) b on a.s = b.s and a.doc_id < b.doc_id group by a.doc_id, b.doc_id having count(*) >= {least}", shingles
 
 
+#: The hand-offs in hours of their own, and over the borders between hours that have events:
+#: no task sorts more than an hour's, and the window over hours has one row for each.
+_HANDOFF_STEPS = [
+    "timed as (select user_id, ts, event_id, cast(floor(unix_timestamp(cast(ts as timestamp)) / 3600) as bigint) as hour from events)",
+    "followed as (select user_id, hour, lead(user_id) over (partition by hour order by ts, event_id) as later, lead(event_id) over (partition by hour order by ts, event_id) as next_id from timed)",
+    "firsts as (select hour, min_by(user_id, struct(ts, event_id)) as opener from timed group by hour)",
+    "openers as (select hour, lead(opener) over (order by hour) as opener from firsts)",
+]
+_HANDOFF = "select src, dst, count(*) as weight from (select user_id as src, case when next_id is null then opener else later end as dst from followed join openers on followed.hour <=> openers.hour) where dst is not null group by src, dst"
+
+
 def turn_term_sql(dialect: str) -> str:
     """Words of more than two letters, in 2 to 20 turns, that share turns (N12), as strings."""
     words = "explode(split(lower(text), '[^a-z]+'))" if dialect == "spark" else "unnest(string_split_regex(lower(text), '[^a-z]+'))"
@@ -92,13 +106,15 @@ def network_sql(name: str, dialect: str) -> tuple[str, list[str]]:
     """``(query, ctes)`` for a network's raw links."""
     if name in ("doc_shingles", "doc_copies"):
         query, shingles = doc_network_sql(20 if name == "doc_copies" else 1, dialect)
-        return query, [f"shingles as ({shingles})", "shared as (select s, doc_id from (select s, doc_id, count(*) over (partition by s) as df from shingles) where df between 2 and 20)"]
+        return query, [f"shingles as ({shingles})", "shared as (select shingles.s, doc_id from shingles join (select s, count(*) as df from shingles group by s having count(*) between 2 and 20) few on shingles.s = few.s)"]
     if name == "turn_terms":
-        few = "terms as (select conv_id, turn, w from (select conv_id, turn, w, count(*) over (partition by w) as df from words) where df between 2 and 20)"
+        few = "terms as (select conv_id, turn, words.w from words join (select w, count(*) as df from words group by w having count(*) between 2 and 20) few on words.w = few.w)"
         return "select a.w as src, b.w as dst, count(*) as weight from terms a join terms b on a.conv_id = b.conv_id and a.turn = b.turn and a.w < b.w group by a.w, b.w", [f"words as ({turn_term_sql(dialect)})", few]
     if name == "page_hosts":
         href = "explode(regexp_extract_all(html, 'href=\"(/[^\"]*)\"', 1))" if dialect == "spark" else "unnest(regexp_extract_all(html, 'href=\"(/[^\"]*)\"', 1))"
         return "select host as src, target as dst, count(*) as weight from hrefs where host <> '' group by host, target", [f"hrefs as (select regexp_extract(url, '://([^/?#]*)', 1) as host, {href} as target from pages)"]
+    if name == "user_handoff" and dialect == "spark":
+        return _HANDOFF, _HANDOFF_STEPS
     return NET_SQL[name].replace("{epoch_ts}", _EPOCH[dialect]), []
 
 

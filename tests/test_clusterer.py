@@ -148,3 +148,51 @@ def test_perturbation_is_nested_and_keeps_a_link(spark):
 
 def test_order_does_not_matter(spark):
     workloads.assert_order_free(networks.from_rows(spark, *FIXTURES["f08"]), 2)
+
+
+def test_weights_are_not_rounded_away(spark):
+    rows = spark.createDataFrame([(1, 2, 0.4), (2, 3, 1.4)], "src long, dst long, weight double")
+    with pytest.raises(Exception, match="not whole"):
+        networks.load_network(rows).links.collect()
+    assert {(r.src, r.dst, int(r.weight)) for r in networks.load_network(rows, scale=10).links.collect()} == {(1, 2, 4), (2, 3, 14)}
+
+
+def test_splitting_can_be_left_out(spark):
+    from peakgroups.catalogue import queries
+
+    whole, without = (sorted(map(tuple, queries()[q](spark, "").collect())) for q in ("fixture_f02", "hierarchy_without_split_f02"))
+    assert any(row[3] == 0.5 for row in whole) and all(row[3] == 1.0 for row in without)
+
+
+def test_work_beyond_the_limit_is_cancelled(spark):
+    from peakgroups.plans.workloads import ended_within
+
+    assert ended_within(spark, lambda: spark.range(10).count(), 60)
+    slow = spark.range(0, 10**12, 1, 4).selectExpr("sum(hash(id))")
+    assert not ended_within(spark, slow.collect, 2)
+
+
+def test_feeds_of_events_as_a_stream(spark, tmp_path):
+    """Windows over a stream of files give what a batch gives, once the watermark has passed."""
+    from peakgroups.streaming import feeds
+
+    events = spark.read.parquet("/root/testdata/sf0.001/events.parquet")
+    events.repartition(1).write.parquet(str(tmp_path / "in"))
+    stream = spark.readStream.schema(events.schema).parquet(str(tmp_path / "in"))
+    run = feeds.window_activity(stream).writeStream.format("memory").queryName("windows").outputMode("append").trigger(availableNow=True).option("checkpointLocation", str(tmp_path / "cp")).start()
+    run.awaitTermination(120)
+    got = {tuple(r) for r in spark.table("windows").collect()}
+    want = {tuple(r) for r in feeds.window_activity(events).collect()}
+    assert got and got <= want and len(want - got) < 0.2 * len(want)
+
+
+def test_baselines_find_two_cliques(spark):
+    """Baselines on two cliques of four that one link joins."""
+    from peakgroups.baselines import labels, moves, structural
+
+    net = networks.from_rows(spark, [(a, b, 1) for q in (0, 4) for a in range(q, q + 4) for b in range(a + 1, q + 4)] + [(3, 4, 1)])
+    groups = lambda c: {frozenset(r.node for r in c.where(c.cluster == k).collect()) for k in {r.cluster for r in c.collect()}}
+    two = {frozenset(range(4)), frozenset(range(4, 8))}
+    assert groups(structural.clique_percolation(net, 3)) == two == groups(structural.clique_percolation(net, 4))
+    assert groups(moves.louvain(net)[-1]) == two
+    assert groups(structural.structural_clusters(net)) == two
