@@ -13,7 +13,6 @@ then compared within a bucket's rank by hash, which is the same order everywhere
 
 from __future__ import annotations
 
-import math
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -36,19 +35,32 @@ HOT, LEAD, LEADERS, LIGHT = 40, 4, 8, 16
 BROADCAST_SETS = 200_000
 #: What a line with a word matches.
 WORDED = r"[^\x20\x09-\x0D]"
+#: All characters beyond ASCII that lower() may change, and some more.
+OTHER_CAPITALS = r"[\x{80}-\x{10FFFF}&&[\p{Lu}\p{Lt}\p{Nl}\p{So}]]"
 #: Words beyond which a line has 128 parity bits.
 WIDE = 80
 #: Words of 64 bits of the filter over texts, a table of fixed size.
 FILTER_WORDS = 1 << 15
 
 
-def _line_words(line: Column) -> Column:
-    """Words of a line in lower case; empty ones where white space meets. A split at single
-    spaces takes no regular expression, and few lines need one."""
+def _spaced(text: Column) -> Column:
+    """The text with other white space as spaces, so that a split at single spaces, which
+    takes no regular expression, gives words and, where white space meets, empty strings."""
     other = F.lit(False)
     for c in "\t\x0b\x0c\r":
-        other = other | F.contains(line, F.lit(c))
-    return F.when(other, F.split(line, SPACES)).otherwise(F.split(line, " "))
+        other = other | F.contains(text, F.lit(c))
+    return F.when(other, F.regexp_replace(text, r"[\t\x0B\x0C\r]", " ")).otherwise(text)
+
+
+def _worded(line: Column) -> Column:
+    """Whether a line has a word; what starts above the space does, without a search."""
+    return (line >= "!") | line.rlike(WORDED)
+
+
+def _small_letters(line: Column) -> Column:
+    """:func:`ascii_lower` for lines: all but those with capitals beyond ASCII, which have to
+    stay, take the faster lower()."""
+    return F.when((F.octet_length(line) == F.char_length(line)) | ~line.rlike(OTHER_CAPITALS), F.lower(line)).otherwise(ascii_lower(line))
 
 
 def _dense(table: DataFrame, size: int) -> DataFrame:
@@ -72,8 +84,8 @@ def word_ranks(docs: DataFrame, buckets: int, text: str = "text") -> DataFrame:
     Capitals that are not ASCII count with their small letters here, which is faster; an
     order of words is an order whatever they are counted with.
     """
-    lines = docs.select(F.explode(F.split(F.lower(F.coalesce(F.col(text), F.lit(""))), "\n")).alias("l"))
-    words = lines.select(F.explode(_line_words(F.col("l"))).alias("w"))
+    lines = docs.select(F.explode(F.split(F.lower(_spaced(F.coalesce(F.col(text), F.lit("")))), "\n")).alias("l"))
+    words = lines.select(F.explode(F.split("l", " ")).alias("w"))
     counts = words.groupBy(F.xxhash64("w").bitwiseAND(F.lit(buckets - 1)).alias("at")).count()
     rank = F.least(F.lit(127), F.round(4 * F.log2(F.col("count") + 1))).cast("long")
     return materialize(_dense(counts.select("at", F.shiftleft(rank, 56).alias("v")), buckets), "ranks")
@@ -83,9 +95,9 @@ def coded_lines(docs: DataFrame, ranks: DataFrame, buckets: int, doc_id: str = "
     """``doc_id, text_key, line, codes``: a line's words as codes, rarest first. Lines without
     a word are left out if ``worded``. A null text is one empty line."""
     t = F.coalesce(F.col(text), F.lit(""))
-    d = docs.select(F.col(doc_id).alias("doc_id"), F.xxhash64(t).alias("text_key"), F.posexplode(F.split(ascii_lower(t), "\n")).alias("line", "l"))
-    d = d.where(F.col("l").rlike(WORDED)) if worded else d
-    hashes = F.transform(_line_words(F.col("l")), lambda w: F.xxhash64(w))
+    d = docs.select(F.col(doc_id).alias("doc_id"), F.xxhash64(t).alias("text_key"), F.posexplode(F.split(_spaced(t), "\n")).alias("line", "l"))
+    d = d.where(_worded(F.col("l"))) if worded else d
+    hashes = F.transform(F.split(_small_letters(F.col("l")), " "), lambda w: F.xxhash64(w))
     hashes = F.array_distinct(F.array_remove(hashes, F.xxhash64(F.lit(""))))
     # The table comes as a subquery, which plans show by name; "ranks" is used once, so that
     # it is put in place and not copied from row to row.
@@ -109,15 +121,17 @@ def _short_prefix(n: str) -> str:
 
 def _may_match(x: str, y: str) -> str:
     """SQL on two postings with the same code: the filters that need no more of the sets.
+    A place ``i`` may be given as ``-1 - i``.
 
     The sizes bound the words that they must share, and that how many they may differ in;
     where they differ, parity bits can."""
     p, q = SIMILAR
     m, n = f"abs({x}.n)", f"abs({y}.n)"
+    i, j = (f"greatest({side}.i, -1 - {side}.i)" for side in (x, y))
     common = f"(({p} * ({m} + {n}) + {p + q - 1}) div {p + q})"
     return f"""
       {q} * least({m}, {n}) >= {p} * greatest({m}, {n})
-      and least({x}.i, {y}.i) + 1 + least({m} - 1 - {x}.i, {n} - 1 - {y}.i) >= {common}
+      and least({i}, {j}) + 1 + least({m} - 1 - {i}, {n} - 1 - {j}) >= {common}
       and if(least({m}, {n}) > {WIDE}, bit_count({x}.more ^ {y}.more) + bit_count({x}.bits ^ {y}.bits ^ {x}.more ^ {y}.more), bit_count({x}.bits ^ {y}.bits)) <= {m} + {n} - 2 * {common}
     """
 
@@ -205,16 +219,20 @@ def _lead_pairs(sets: DataFrame) -> DataFrame | None:
 def _pairs(sets: DataFrame) -> DataFrame:
     """``(a, b)``: all pairs of sets that pass the filters, but those that are both gone.
 
-    A set looks for those of as many words or fewer. ``n`` is negative if the set is gone.
+    A set looks by its prefix for those of as many words or fewer, which it finds by a shorter
+    one. Both sides are the same postings, shuffled once: that the smaller set's word is in the
+    shorter prefix is asked of a pair, since Spark would ask it of one side before the shuffle.
+    ``n`` is negative if the set is gone, ``i`` beyond the shorter prefix.
     """
     some = sets.where(f"n >= {SMALLEST}").select("set", F.expr("if(gone, -n, n)").alias("n"), "bits", "more", "prefix")
     # Of a code 32 bits move: two words on one key only cost time.
     key = F.col("code").bitwiseAND(F.lit((1 << 32) - 1)).alias("key")
-    posted = lambda words: some.select("set", "n", "bits", "more", F.posexplode(F.expr(words)).alias("i", "code")).select("set", "n", "i", "bits", "more", key)
-    looking, kept = posted("prefix").alias("x"), posted(f"slice(prefix, 1, {_short_prefix('abs(n)')})").alias("y")
+    posted = some.select("set", "n", "bits", "more", F.posexplode("prefix").alias("i", "code"))
+    # Bytes that vary stand together, which compresses better.
+    posted = posted.select("more", F.expr(f"if(i < {_short_prefix('abs(n)')}, i, -1 - i)").alias("i"), "n", "set", key, "bits")
     # Of sets of one size the one looks for the other once.
-    once = "(abs(y.n) < abs(x.n) or abs(y.n) = abs(x.n) and y.set < x.set)"
-    near = looking.join(kept, F.expr(f"x.key = y.key and {once} and (x.n > 0 or y.n > 0) and {_may_match('x', 'y')}"))
+    once = f"if(y.i < 0, {(1 << 31) - 1}, abs(y.n)) <= abs(x.n) and (abs(y.n) <> abs(x.n) or y.set < x.set)"
+    near = posted.alias("x").join(posted.alias("y"), F.expr(f"x.key = y.key and {once} and (x.n > 0 or y.n > 0) and {_may_match('x', 'y')}"))
     return near.select(F.expr("least(x.set, y.set)").alias("a"), F.expr("greatest(x.set, y.set)").alias("b")).distinct()
 
 
@@ -230,7 +248,7 @@ def kept_lines(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> D
     """
     lines = F.split(F.coalesce(F.col(text), F.lit("")), "\n")
     each = docs.select(F.col(doc_id).alias("doc_id"), F.xxhash64(F.coalesce(F.col(text), F.lit(""))).alias("text_key"), lines.alias("lines"))
-    each = each.select("doc_id", "text_key", F.size("lines").cast("long").alias("n_lines"), F.size(F.filter("lines", lambda x: x.rlike(WORDED))).cast("long").alias("n_eligible"))
+    each = each.select("doc_id", "text_key", F.size("lines").cast("long").alias("n_lines"), F.size(F.filter("lines", _worded)).cast("long").alias("n_eligible"))
     per_doc = materialize(each.groupBy("doc_id", "text_key").agg(F.count(F.lit(1)).alias("copies"), F.max("n_lines").alias("n_lines"), F.max("n_eligible").alias("n_eligible")), "per-doc")
     repeated = per_doc.where("copies > 1").limit(1).count() > 0
     buckets = bucket_count(docs)
@@ -267,7 +285,7 @@ def dedup_lines(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") ->
     changed = materialize(changed.select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"), F.col("kept").alias("_kept")), "changed")
     on = docs[doc_id].eqNullSafe(F.col("_id")) & (F.xxhash64(F.coalesce(docs[text], F.lit(""))) == F.col("_key"))
     joined = docs.join(changed, on, "left")
-    cut = F.array_join(F.filter(F.split(text, "\n"), lambda line, i: F.array_contains("_kept", i) | ~line.rlike(WORDED)), "\n")
+    cut = F.array_join(F.filter(F.split(text, "\n"), lambda line, i: F.array_contains("_kept", i) | ~_worded(line)), "\n")
     return joined.select(*[F.when(F.col("_kept").isNull(), F.col(text)).otherwise(cut).alias(text) if c == text else docs[c] for c in docs.columns])
 
 
