@@ -11,7 +11,7 @@ from peakgroups.baselines import labels, moves, structural
 from peakgroups.functions.storage import materialize
 from peakgroups.operators import consensus, formation, gains
 from peakgroups.operators.contraction import contract
-from peakgroups.plans import measures, perturb, workloads
+from peakgroups.plans import around, measures, perturb, workloads
 from peakgroups.plans.hierarchy import MutualPeakClusterer
 from peakgroups.schema import Network, Params
 from peakgroups.sources import networks
@@ -319,7 +319,7 @@ def _register() -> tuple[dict, dict]:
     q["pair_f1_language_source"], sql["pair_f1_language_source"] = _pair_counts, _PAIR_SQL
     q["perturbed_links_doc_copies"], sql["perturbed_links_doc_copies"] = _perturbed, _PERTURBED_SQL
     q["features_table"] = lambda spark, sf_dir: labels.algorithm_features(spark)
-    sql["features_table"] = "select * from (values " + ", ".join(str((a, *f.split())) for a, f in labels.FEATURES.items()) + f") t(algo, {', '.join(labels.FEATURE_NAMES)})"
+    # No SQL: it could only be made from the table itself.
     q["split_admission_grid"] = lambda spark, sf_dir: spark.range(1, 40).selectExpr("id as k").crossJoin(spark.range(1, 40).selectExpr("id as d")).where(formation.split_allowed(F.col("k"), F.col("d")))
     sql["split_admission_grid"] = "select k, d from range(2, 40) a(k), range(2, 40) b(d) where k <= d and k * (d - k) + k * (k - 1) // 2 <= d"
     q["accuracy_planted"] = lambda spark, sf_dir: workloads.run_accuracy({"planted": perturb.planted_network(spark, 500, 12, 40)}, ("mutual_peak", "structural"))
@@ -327,6 +327,8 @@ def _register() -> tuple[dict, dict]:
     q["truth_passages"] = lambda spark, sf_dir: workloads.document_truths(spark, sf_dir)["passages"]
     sql["truth_passages"] = _PASSAGES_SQL
     _register_feeds(q, sql)
+    q.update(around.QUERIES)
+    sql.update(around.SQL)
     return q, sql
 
 
