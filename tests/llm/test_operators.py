@@ -156,7 +156,49 @@ def test_token_counts_equal_the_library(machine, texts):
 @given(st.text("abst'relvmd \n\t é漢1２.,!\u3000\x85", max_size=60), st.integers(1, 9))
 def test_chunks_compose(machine, text, size):
     mine, library = machine
-    assert mine.count_long(text, size) == mine.count([text])[0] == library([text])[0]
+    assert mine.count([text], size) == mine.count([text]) == library([text])
+
+
+@settings(max_examples=60, deadline=None)
+@given(st.text("abst'rel \n é漢1", min_size=1, max_size=40), st.integers(1, 4), st.randoms())
+def test_maps_compose_in_any_order(machine, text, size, random):
+    mine, library = machine
+    ends = tokens.np.array([len(text)])
+    (maps,) = mine.chunks(text + "\n", tokens.all_starts(text + "\n", ends), ends, size)
+    while len(maps) > 1:
+        i = random.randrange(len(maps) - 1)
+        maps[i : i + 2] = [mine.compose(text, *maps[i : i + 2])]
+    assert [maps[0].count] == library([text])
+
+
+def test_runs_without_a_pre_token_start(machine):
+    mine, library = machine
+    xs = ["a" * 100_000, "-" * 5000 + "ab" * 9000, "=" * 70_000 + " x", "漢字" * 5000, " " * 9000]
+    assert mine.count(xs) == library(xs)
+
+
+def test_counts_come_from_the_transitions(machine):
+    """A wrong annotation and a composition that counts nothing must both show."""
+    with open(__import__("public_tokenizers").path("byte_bpe_50k.json"), "rb") as f:
+        mine = tokens.Transducer(f.read())
+    text = "to be or not to be " * 2000
+    right = mine.count([text])[0]
+    state, made = mine.root.steps[ord("t")]
+    mine.root.steps[ord("t")] = state, made + 1
+    mine.emitted.clear()
+    assert mine.count([text])[0] > right
+    mine._anew()
+    mine.compose = lambda text, a, b: a
+    assert mine.count([text])[0] < right
+
+
+def test_token_counts_of_odd_rows(spark, odd, none, machine):
+    path = __import__("public_tokenizers").path("byte_bpe_50k.json")
+    got = sorted((r.doc_id is None, r.doc_id or 0, r.n_bytes, r.n_tokens, r.over_limit) for r in tokens.count_tokens(odd, path).collect())
+    rows = [(r.doc_id, r.text or "") for r in odd.collect()]
+    want = machine[1]([t for _, t in rows])
+    assert got == sorted((i is None, i or 0, len(t.encode()), n, n > 1024) for (i, t), n in zip(rows, want))
+    assert tokens.count_tokens(none, path).collect() == []
 
 
 def test_language_held_out(spark):
