@@ -138,6 +138,26 @@ def test_license_suppression(spark):
     assert len(licenses.signatures()) >= 200
 
 
+def test_cascade_asks_lazily_and_keeps_the_same(spark, docs, odd, none):
+    """Both cascades agree; a rule behind one that rejects a text is not asked about it."""
+    for d in (docs, odd, none):
+        want = sorted(str(r.doc_id) for r in quality.judge(d).where("kept").collect())
+        assert sorted(str(r.doc_id) for r in quality.keep_good(d).collect()) == want
+    few = quality.QualityRule("few", "n_words < 5")
+    trap = quality.QualityRule("trap", "if(n_words < 5, cast(raise_error('asked') as boolean), n_words < 0)")
+    short = spark.createDataFrame([(1, "a b")], "doc_id long, text string")
+    verdict = quality.F.when(quality.F.expr(quality.on_demand(few.bad)), False).when(quality.F.expr(quality.on_demand(trap.bad)), False)
+    assert quality._worded(short, "doc_id", "text").select(verdict.alias("kept")).first().kept is False
+    with pytest.raises(Exception, match="asked"):
+        quality._worded(short, "doc_id", "text").select(quality.F.expr(quality.on_demand(trap.bad)).alias("x")).collect()
+
+
+def test_rules_are_ordered_by_rejections_per_second(docs):
+    rules = [quality.QualityRule("never", "n_words < 0"), quality.QualityRule("always", "n_words >= 0"), quality.QualityRule("dear", "n_repeat_words >= 0")]
+    found = quality.ordered_rules(docs, lambda d: quality._worded(d, "doc_id", "text"), quality.on_demand, rules)
+    assert [x[0].name for x in found] == ["always", "dear", "never"] and [x[2] for x in found] == [1.0, 1.0, 0.0]
+
+
 @pytest.fixture(scope="module")
 def machine():
     paths = pytest.importorskip("public_tokenizers")
