@@ -44,7 +44,7 @@ BASE_FAILED = "n_words < 20 or 100 * n_repeat_words > 30 * n_words"
 BASE = (QualityRule("few_words", "n_words < 20"), QualityRule("repeated_words", "100 * n_repeat_words > 30 * n_words"))
 #: Expected rows of the sample on which cost and selectivity are estimated, and how often
 #: a rule is asked about each, so that its time stands out from that of starting a job.
-SAMPLE_ROWS, TIMES = 256, 8
+SAMPLE_ROWS, TIMES = 256, 3
 
 # Starts of the windows that occur twice or more: in order of key and place, those whose
 # neighbour has the same key.
