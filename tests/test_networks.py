@@ -1,5 +1,7 @@
 """Networks of the tables: plans that keep little on disk, against the SQL they stand for."""
 
+import re
+
 import duckdb
 import pytest
 
@@ -42,3 +44,22 @@ def test_peaks_of_both_ends_are_the_mutual_candidates(spark, eps):
     scored = modularity_gain(net)
     old, new = (sorted(map(tuple, x.select("node", "cand", "gkey").collect())) for x in (mutual_candidates(preselect(scored, eps)), mutual_peaks(scored, eps)))
     assert old and old == new
+
+
+@pytest.mark.parametrize("sent", [7, 1000])
+def test_meetings_are_counted_where_they_are_made(spark, sent):
+    from peakgroups.operators.meeting import meeting_links
+
+    rows = [(s, u) for s in range(9) for u in range(12) if (s * 7 + u * u) % 5 < 2] + [(3, 5), (3, 5), (None, 1), (2, None)]
+    df = spark.createDataFrame(rows, "slot long, user long")
+    wanted: dict = {}
+    for s, u in rows:
+        for t, v in rows:
+            if s == t and None not in (s, u, v) and u != v:
+                wanted[u, v] = wanted.get((u, v), 0) + 1
+    both = meeting_links(df, both=True, sent=sent)
+    assert {(r.src, r.dst): r.weight for r in both.collect()} == wanted
+    links = meeting_links(df, sent=sent)
+    assert {(r.src, r.dst): r.weight for r in links.collect()} == {k: n for k, n in wanted.items() if k[0] < k[1]}
+    plan = links._jdf.queryExecution().executedPlan().toString()
+    assert "HashAggregate(keys=[src#" in plan and not re.search(r"hashpartitioning\(src#\w+, dst", plan)
