@@ -158,9 +158,9 @@ def test_weights_are_not_rounded_away(spark):
 
 
 def test_splitting_can_be_left_out(spark):
-    from peakgroups.catalogue import queries
+    from peakgroups.catalogue import _hierarchy, queries
 
-    whole, without = (sorted(map(tuple, queries()[q](spark, "").collect())) for q in ("fixture_f02", "hierarchy_without_split_f02"))
+    whole, without = (sorted(map(tuple, q(spark, "").collect())) for q in (_hierarchy("f02"), queries()["hierarchy_without_split_f02"]))
     assert any(row[3] == 0.5 for row in whole) and all(row[3] == 1.0 for row in without)
 
 
