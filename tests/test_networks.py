@@ -38,6 +38,14 @@ def test_one_shuffle_of_shingles_without_their_text(spark):
     assert plan.count("Exchange hashpartitioning") == 1
 
 
+def test_a_slice_holds_a_quarter_of_the_shingles_and_splits_texts_once(spark, monkeypatch):
+    docs = spark.createDataFrame(_documents(), "doc_id long, text string")
+    seen, pairs = [], networks._slice_pairs
+    monkeypatch.setattr(networks, "_slice_pairs", lambda docs, part, slices: (seen.append((part, slices)), pairs(docs, part, slices))[1])
+    assert networks.doc_links(docs, 1).count() and seen == [(k, 4) for k in range(4)]
+    assert pairs(docs, 0, 4)._jdf.queryExecution().optimizedPlan().toString().count("split(") == 1
+
+
 @pytest.mark.parametrize("eps", [0.0, 0.3])
 def test_peaks_of_both_ends_are_the_mutual_candidates(spark, eps):
     net = networks.from_rows(spark, [(a, b, 1 + (a * b) % 3) for a in range(12) for b in range(a + 1, 12) if (a + b) % 3], [(0, 2)])
