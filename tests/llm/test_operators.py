@@ -290,6 +290,24 @@ def test_leaders_change_nothing(spark, monkeypatch):
         assert sorted(got) == sorted(want)
 
 
+def test_second_look_moves_the_lines_that_it_needs(spark, monkeypatch):
+    """Of a text with one line to compare only that line moves, once, and none of an equal text."""
+    fill = [" ".join(f"f{i}x{j}x{k}" for k in range(9)) for i in range(2) for j in range(30)]
+    rows = [(1, "\n".join(["a b c d e", *fill[:30]])), (2, "\n".join([*fill[30:], "e d c b a f"])), (3, "\n".join(["a b c d e", *fill[:30]]))]
+    moved, write = [], linededup.materialize
+
+    def counted(df, name):
+        if name == "codes":
+            plan = df._jdf.queryExecution().optimizedPlan().toString()
+            moved.append((plan.count("Join "), plan.count("collect_list"), df.count()))
+        return write(df, name)
+
+    monkeypatch.setattr(linededup, "materialize", counted)
+    got = {r.doc_id: r.text for r in linededup.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {1: rows[0][1], 2: "\n".join(fill[30:]), 3: ""}
+    assert moved == [(1, 0, 2)]
+
+
 def test_lines_that_differ_in_a_few_words(spark):
     """Sets around the limit of similarity, of all sizes, against brute force."""
     rng = random.Random(9)
