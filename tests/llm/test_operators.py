@@ -308,6 +308,13 @@ def test_second_look_moves_the_lines_that_it_needs(spark, monkeypatch):
     assert moved == [(1, 0, 2)]
 
 
+def test_pairs_of_sets_that_are_both_gone_are_not_looked_at(spark):
+    """Whatever the numbers and sizes of the sets, the first one's and equal ones included."""
+    rows = [(i, n, 0, None, [1, 2], i in (0, 3)) for i, n in enumerate([6, 5, 5, 5, 9])]
+    sets = spark.createDataFrame(rows, "set long, n int, bits long, more long, prefix array<long>, gone boolean")
+    assert sorted(tuple(r) for r in linededup._pairs(sets).collect()) == [(0, 1), (0, 2), (1, 2), (1, 3), (2, 3)]
+
+
 def test_lines_that_differ_in_a_few_words(spark):
     """Sets around the limit of similarity, of all sizes, against brute force."""
     rng = random.Random(9)
