@@ -7,7 +7,7 @@ import numpy as np
 import pytest
 
 from peakgroups.operators.components import connected_groups
-from peakgroups.plans import hierarchy
+from peakgroups.plans import hierarchy, workloads
 from peakgroups.plans.arrays import ArrayNetwork, array_levels
 from peakgroups.plans.hierarchy import MutualPeakClusterer, solve_levels
 from peakgroups.schema import Params
@@ -73,3 +73,14 @@ def test_groups_of_one_task(spark):
     links, _, _ = draw(1, 60, 50)
     pairs = spark.createDataFrame(list(links), "a long, b long")
     assert sorted(hierarchy._held_groups(pairs).collect()) == sorted(connected_groups(pairs).collect())
+
+
+def test_reorderings_of_a_network_beyond_the_tail_agree(spark, monkeypatch):
+    links, own, _ = draw(2, 16, 40)
+    links |= {(a, a + 7): 1 for a in range(0, 15 * 7, 7) if (a, a + 7) not in links}  # one connected group
+    taken, whole = [], hierarchy.solve_tail
+    monkeypatch.setattr(hierarchy, "solve_tail", lambda *a, **k: taken.append(k.get("whole")) or whole(*a, **k))
+    monkeypatch.setattr(workloads, "MutualPeakClusterer", lambda: MutualPeakClusterer(Params(tail_links=14, use_split=False)))
+    net = networks.from_rows(spark, [(a, b, w) for (a, b), w in links.items()], own.items())
+    assert [r.value for r in workloads.run_determinism(net, "mutual_peak", 2).collect()] == [1.0, 1.0]
+    assert taken == [True, True]
